@@ -6,10 +6,6 @@ Word hashes are 64-bit; two different words, shingles or n-grams that share a ha
 
 from __future__ import annotations
 
-import atexit
-import os
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -17,10 +13,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from graphsummary.sources.storage import discard, shared_dir, small, store
+
+__all__ = ["discard", "shared_dir", "small", "store"]  # and all that stands below
+
 #: Bytes of text that a Python worker turns into arrays at once; one longer text is handled alone.
 SLICE_BYTES = 4 << 20
-#: Largest table, in rows, that an operator sends to every executor.
-BROADCAST_ROWS = 1_000_000
 
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -30,51 +28,6 @@ _K1, _K2, _K3 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9,
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
-# ---------------------------------------------------------------- shared storage
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or one of our own where that is unset."""
-    given = spark.conf.get("spark.checkpoint.dir", None)
-    if given:
-        return given.rstrip("/")
-    if (now := spark.sparkContext.getCheckpointDir()) is not None:
-        return now.rstrip("/")
-    spark.sparkContext.setCheckpointDir(os.path.join(tempfile.gettempdir(), "checkpoints"))
-    return spark.sparkContext.getCheckpointDir().rstrip("/")
-
-
-def remove(spark: SparkSession, path: str) -> None:
-    p = spark._jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
-
-
-def _remove_quietly(spark: SparkSession, path: str) -> None:
-    try:
-        remove(spark, path)
-    except Exception:  # the session may have ended before this process
-        pass
-
-
-def store(df: DataFrame, label: str) -> DataFrame:
-    """Write df to the shared folder and read it back: cuts lineage, survives lost executors, goes at exit."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    atexit.register(_remove_quietly, spark, path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out._stored_at = path  # type: ignore[attr-defined]
-    return out
-
-
-def discard(df: DataFrame) -> None:
-    """Delete a stored table that no later plan reads."""
-    _remove_quietly(df.sparkSession, df._stored_at)  # type: ignore[attr-defined]
-
-
-def small(df: DataFrame, rows: int | None = None) -> DataFrame:
-    """Mark a stored df for broadcast if it has at most BROADCAST_ROWS rows; otherwise leave the join to shuffle."""
-    return F.broadcast(df) if (df.count() if rows is None else rows) <= BROADCAST_ROWS else df
-
-
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
