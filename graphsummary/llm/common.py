@@ -97,22 +97,28 @@ def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = SLICE_BYTE
             lo = hi
 
 
-def words(data: np.ndarray, offsets: np.ndarray, lower: bool = True) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes of the words ([^ \\t-\\r]+) in order, and each text's offsets among them."""
-    if not len(data):
-        return np.zeros(0, np.uint64), np.zeros(len(offsets), np.int64)
-    solid = ~_SPACE[data]
-    edge = offsets[:-1][offsets[:-1] < len(data)]
+def runs(solid: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Starts and lengths of the runs of solid bytes, no run crossing into another text, and the texts' offsets among them."""
+    edge = offsets[:-1][offsets[:-1] < len(solid)]
     before = np.empty_like(solid)
-    before[0], before[1:] = False, solid[:-1]
+    before[:1], before[1:] = False, solid[:-1]
     before[edge] = False
     starts = np.flatnonzero(solid & ~before)
     after = np.empty_like(solid)
-    after[-1], after[:-1] = False, solid[1:]
+    after[-1:], after[:-1] = False, solid[1:]
     after[edge[edge > 0] - 1] = False
-    lens = np.flatnonzero(solid & ~after) + 1 - starts
-    run = data[solid]
-    return hash_runs(_LOWER[run] if lower else run, lens), np.searchsorted(starts, offsets)
+    return starts, np.flatnonzero(solid & ~after) + 1 - starts, np.searchsorted(starts, offsets)
+
+
+def words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the lower-cased words ([^ \\t-\\r]+) in order, and each text's offsets among them."""
+    solid = ~_SPACE[data]
+    _, lens, at = runs(solid, offsets)
+    return hash_runs(_LOWER[data[solid]], lens), at
+
+
+def lowered(data: np.ndarray) -> np.ndarray:
+    return _LOWER[data]
 
 
 def as_long(h: np.ndarray) -> np.ndarray:
