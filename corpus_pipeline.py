@@ -1,8 +1,75 @@
-"""A corpus pipeline of five stages; filled in once all its operators stand."""
+"""A corpus pipeline: language identification, line dedup, near-duplicate removal, decontamination, mixing.
 
-STAGES: list = []
+Every stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last return the columns of documents. A
+stage works on all rows that the one before it kept. Rows that share a doc_id are one document.
+"""
+
+from __future__ import annotations
+
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from graphsummary.llm import decontaminate, language_id, line_dedup, mixing, near_dedup
+from graphsummary.llm.common import documents, fold_of, small, store
+
+COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+
+
+def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without a letter (null and empty texts too) go; lang becomes the predicted language."""
+    model = language_id.learn(docs.where(fold_of("doc_id") != 0).select("text", "lang"))
+    judged = language_id.predict(docs.select(*COLUMNS), model)
+    return judged.where(F.col("lang_pred") != language_id.NONE).withColumn("lang", F.col("lang_pred")).select(*COLUMNS)
+
+
+def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Lines found in ten or more documents leave every text; n_chars follows the text."""
+    index = line_dedup.LineIndex.of(docs)
+    made = index.apply(docs.select(*COLUMNS))
+    changed = F.when(F.col("n_dropped") > 0, F.length("text").cast("bigint")).otherwise(F.col("n_chars"))
+    return made.withColumn("n_chars", changed).select(*COLUMNS)
+
+
+def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each near-duplicate group stays, the one with the smallest doc_id."""
+    groups = near_dedup.near_duplicates(docs)
+    gone = store(groups.where(~F.col("kept")).select("doc_id").distinct(), "gone")
+    return docs.join(small(gone), "doc_id", "left_anti").select(*COLUMNS)
+
+
+def clean(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold a benchmark item, or the same question with other numbers or names, go."""
+    found = decontaminate.matches(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+    gone = store(found.select("doc_id").distinct(), "gone")
+    return docs.join(small(gone), "doc_id", "left_anti").select(*COLUMNS)
+
+
+def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The documents that the mix takes, with how often (copies) and how many words (taken)."""
+    size = F.coalesce(F.regexp_count("text", F.lit(mixing.WORD)), F.lit(0)).cast("bigint")
+    sized = store(docs.select("doc_id", mixing.source_key("source").alias("key"), size.alias("size")), "sizes")
+    targets = {s: t for s, (_, t) in mixing.source_targets(sized, "key", "size").items()}
+    mixed = mixing.mix(docs.select(*COLUMNS).withColumn("size", size), targets, F.array(mixing.source_key("source")), "size")
+    return mixed.where("copies > 0").select(*COLUMNS, "copies", F.col("taken").cast("bigint").alias("taken"))
+
+
+STAGES = [
+    ("language identification", language),
+    ("line dedup", lines),
+    ("near-duplicate removal", near),
+    ("benchmark decontamination", clean),
+    ("mixing to target weights", mixture),
+]
+
+#: Language identification, min-hash tables and mixing have no SQL form; tests hold the stages against brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    for name, stage in STAGES:
+        docs = stage(spark, docs, sf_dir)
+        if name != STAGES[-1][0]:
+            docs = store(docs, name.replace(" ", "-"))
+    return docs
