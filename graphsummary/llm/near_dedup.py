@@ -9,7 +9,8 @@ At the least similarity of 0.75 a sub-key agrees with probability 0.75 ** 4, and
 probability below 5e-5; no table, bucket or number of partners is capped. Keys are only combined for documents that
 share a first sub-key with another, which loses no equal key.
 
-Documents with equal sets form a class first. In a bucket, members are compared with a centre, all of a group at once;
+Documents with equal sets form a class first. Shingles that no other candidate has cannot be common to a pair; classes
+and pairs that could not reach the similarity even with all their other shingles in common are left out, which is exact. In a bucket, members are compared with a centre, all of a group at once;
 what one comparison links is contracted, and only buckets that still hold unlinked members go on, with four times as
 many centres each time, until every pair of a bucket is linked or was compared. So groups of any size cost rows in
 proportion to their members, and nothing is gathered in one task or on the driver.
@@ -124,13 +125,33 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return same.where(F.col("same") * 100 >= (F.col("both") - F.col("same")) * percent).select("a", "b")
 
 
-def _near_size(n: str, m: str, percent: int):
-    """Sets of these sizes can be similar enough."""
-    return F.least(n, m) * 100 >= F.greatest(n, m) * percent
+def _possible(a: str, b: str, percent: int):
+    """Whether two classes can be similar enough: a and b name structs of rep, n (size) and m (shingles that any other
+    candidate has too). At most the smaller m is common, so this loses no link."""
+    common = F.least(f"{a}.m", f"{b}.m")
+    return common * 100 >= (F.col(f"{a}.n") + F.col(f"{b}.n") - common) * percent
+
+
+def _shared_sizes(sets: DataFrame, percent: int, passes: int = 4) -> DataFrame:
+    """(rep, n, m): size, and how many shingles some other candidate has; without the reps that can have no link.
+
+    What a left-out rep alone shared becomes single in turn, so a few passes leave out more; every pass is exact.
+    """
+    now, before, out = sets, None, None
+    for _ in range(passes):
+        single = now.select("rep", F.explode("members").alias("x")).groupBy("x").agg(F.min("rep").alias("rep"), F.count("*").alias("holders")).where("holders = 1")
+        own = single.groupBy("rep").agg(F.count("*").alias("own"))
+        sized = now.select("rep", F.size("members").cast("bigint").alias("n")).join(own, "rep", "left").select("rep", "n", (F.col("n") - F.coalesce("own", F.lit(0))).alias("m"))
+        out = store(sized.where(F.col("m") * 100 >= F.col("n") * percent), "able")
+        left = out.count()
+        if left == before:
+            break
+        before, now = left, sets.join(small(out.select("rep"), left), "rep", "left_semi")
+    return out
 
 
 def _split_buckets(rows: DataFrame) -> DataFrame:
-    """Rows (cell, rep, n, comp) of the buckets that hold more than one component."""
+    """Rows (cell, rep, own, comp) of the buckets that hold more than one component."""
     open_ = rows.groupBy("cell").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("cell")
     return rows.join(open_, "cell")
 
@@ -157,34 +178,38 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     firsts = reps.select("rep", F.explode("left").alias("first"))
     shared = firsts.groupBy("first").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("first")
     mine = firsts.join(shared, "first").groupBy("rep").agg(F.collect_list("first").alias("firsts"))
-    cells = reps.select("rep", "n", "right").join(mine, "rep").select("rep", "n", F.explode("firsts").alias("first"), "right")
-    cells = store(cells.select("rep", "n", F.explode(F.transform("right", lambda r: F.xxhash64(F.col("first"), r))).alias("cell")), "cells")
-    centres = cells.groupBy("cell").agg(F.min("rep").alias("centre"), F.max("rep").alias("hi")).where("centre < hi").select("cell", "centre")
-    live = store(cells.join(centres, "cell"), "live")
+    cells = reps.select("rep", "right").join(mine, "rep").select("rep", F.explode("firsts").alias("first"), "right")
+    cells = store(cells.select("rep", F.explode(F.transform("right", lambda r: F.xxhash64(F.col("first"), r))).alias("cell")), "cells")
+    crowded = cells.groupBy("cell").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("cell")
+    met = store(cells.join(crowded, "cell"), "met")
 
-    wanted = store(live.select("rep").distinct().join(reps.select("rep", *key), "rep"), "wanted")
+    wanted = store(met.select("rep").distinct().join(reps.select("rep", *key), "rep"), "wanted")
     near = source.withColumnRenamed("doc_id", "rep").join(small(wanted.select("rep").distinct()), "rep", "left_semi")
     sets = near.mapInArrow(_sets, f"rep {kind}, n bigint, f1 bigint, f2 bigint, members array<bigint>")
     sets = store(sets.join(small(wanted), ["rep", *key], "left_semi").dropDuplicates(["rep", *key]).select("rep", "members"), "sets")
-
-    # every class against one centre, its smallest
-    stars = live.where("centre < rep").groupBy("rep").agg(F.min("centre").alias("centre")).select(F.col("centre").alias("a"), F.col("rep").alias("b"))
-    tested = store(stars, "tested")
+    able = _shared_sizes(sets, percent)
+    rows = met.join(small(able), "rep").select("cell", F.struct("rep", "n", "m").alias("own"))
+    centres = rows.groupBy("cell").agg(F.min("own").alias("centre"), F.max("own").alias("hi")).where("centre.rep < hi.rep").select("cell", "centre")
+    live = store(rows.join(centres, "cell"), "live")
+
+    # every class against one centre, the smallest that it can be similar to
+    stars = live.where(F.col("centre.rep") < F.col("own.rep")).where(_possible("centre", "own", percent))
+    tested = store(stars.groupBy(F.col("own.rep").alias("b")).agg(F.min("centre.rep").alias("a")).select("a", "b"), "tested")
     links = store(_confirmed(tested, sets, percent), "links")
     label = components(links, "a", "b").toDF("rep", "comp")
-    rows = live.select("cell", "rep", "n").join(small(label), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+    rows = live.select("cell", "own", F.col("own.rep").alias("rep")).join(small(label), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     rows, width = store(_split_buckets(rows), "open"), 1
     while rows.limit(1).count():
         salt = F.pmod(F.xxhash64("rep", F.lit(width)), F.lit(width))
-        centre = store(rows.groupBy("cell", salt.alias("salt")).agg(F.min(F.struct("rep", "n", "comp")).alias("c")).select("cell", "c.*").toDF("cell", "c", "cn", "ccomp"), "centres")
-        met = rows.join(centre, "cell").where((F.col("comp") != F.col("ccomp")) & _near_size("n", "cn", percent))
-        met = met.select(F.least("rep", "c").alias("a"), F.greatest("rep", "c").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
-        met = store(met, "tested")
-        more = store(_confirmed(met, sets, percent), "links")
-        links, tested = links.union(more), tested.union(met)
+        centre = store(rows.groupBy("cell", salt.alias("salt")).agg(F.min(F.struct("rep", "own", "comp")).alias("c")).select("cell", F.col("c.own").alias("centre"), F.col("c.comp").alias("ccomp")), "centres")
+        pairs = rows.join(centre, "cell").where((F.col("comp") != F.col("ccomp")) & _possible("centre", "own", percent))
+        pairs = pairs.select(F.least("rep", "centre.rep").alias("a"), F.greatest("rep", "centre.rep").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
+        pairs = store(pairs, "tested")
+        more = store(_confirmed(pairs, sets, percent), "links")
+        links, tested = links.union(more), tested.union(pairs)
         of = rows.select("rep", "comp").distinct()
         between = more.join(of.toDF("a", "ca"), "a").join(of.toDF("b", "cb"), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b"))
-        rows = rows.join(centre.select("cell", F.col("c").alias("rep")), ["cell", "rep"], "left_anti")
+        rows = rows.join(centre.select("cell", F.col("centre.rep").alias("rep")), ["cell", "rep"], "left_anti")
         rows, width = store(_split_buckets(_relabel(rows, store(between, "between"))), "open"), width * 4
     label = components(links, "a", "b").toDF("rep", "component_id")
 
