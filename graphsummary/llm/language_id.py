@@ -25,6 +25,8 @@ from pyspark.sql import functions as F
 from graphsummary.llm.common import documents, fold_of, mix, slices, store
 
 GRAM, PROBES = 4, 3
+#: Text for each pass over the arrays, which take about a hundred times as many bytes.
+PIECE = 1 << 20
 #: Slots of the filter, the most languages, and what makes an n-gram part of a language.
 SLOTS, MOST_LANGUAGES, SHARE, LEAST = 1 << 20, 63, 0.1, 2
 NONE = "und"
@@ -80,7 +82,7 @@ def gram_counts(docs: DataFrame, text: str, lang: str) -> DataFrame:
     """(lang, gram, n) over all rows with a text and a language."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, data, offsets in slices(batches, "text"):
+        for batch, data, offsets in slices(batches, "text", PIECE):
             value, at = grams(data, offsets)
             names, code = np.unique(np.asarray(batch.column(1).to_pylist(), dtype=object), return_inverse=True)
             per = np.repeat(code, np.diff(at))
@@ -132,7 +134,7 @@ def predict(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
         languages, masks, wrong = held.value
         ascii_letter = np.zeros(256, bool)
         ascii_letter[[*range(65, 91), *range(97, 123)]] = True
-        for batch, data, offsets in slices(batches, text):
+        for batch, data, offsets in slices(batches, text, PIECE):
             n = batch.num_rows
             value, ends = grams(data, offsets)
             count = np.diff(ends)
