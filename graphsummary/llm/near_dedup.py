@@ -35,6 +35,8 @@ from graphsummary.operators.components import components
 SHINGLE, PERCENT = 5, 75
 ROWS, SUB = 4, 28
 SEED = 20231
+#: Parts of the hash space in which shared shingles are counted to rule pairs out.
+PARTS = 32
 #: Text for each pass over the min-hashes: the arrays should stay in a core's cache.
 PIECE = 1 << 20
 
@@ -126,23 +128,31 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def _possible(a: str, b: str, percent: int):
-    """Whether two classes can be similar enough: a and b name structs of rep, n (size) and m (shingles that any other
-    candidate has too). At most the smaller m is common, so this loses no link."""
-    common = F.least(f"{a}.m", f"{b}.m")
-    return common * 100 >= (F.col(f"{a}.n") + F.col(f"{b}.n") - common) * percent
+    """Whether two classes can be similar enough: a and b name structs of rep, n (size), m (shingles that any other
+    candidate has too) and k0, k1, ... (the same by parts of the hash space). At most the smaller number is common, over
+    all and in each part, so this loses no link. The cheap test over all comes first."""
+    over_all = F.least(f"{a}.m", f"{b}.m")
+    common = sum((F.least(f"{a}.k{i}", f"{b}.k{i}") for i in range(1, PARTS)), F.least(f"{a}.k0", f"{b}.k0"))
+    enough = lambda c: c * 100 >= (F.col(f"{a}.n") + F.col(f"{b}.n") - c) * percent
+    return enough(over_all) & enough(common)
 
 
 def _shared_sizes(sets: DataFrame, percent: int, passes: int = 4) -> DataFrame:
-    """(rep, n, m): size, and how many shingles some other candidate has; without the reps that can have no link.
+    """(rep, n, m, k0, k1, ...): size, and how many shingles some other candidate has, by parts; without the reps that can
+    have no link.
 
     What a left-out rep alone shared becomes single in turn, so a few passes leave out more; every pass is exact.
     """
     now, before, out = sets, None, None
     for _ in range(passes):
         single = now.select("rep", F.explode("members").alias("x")).groupBy("x").agg(F.min("rep").alias("rep"), F.count("*").alias("holders")).where("holders = 1")
-        own = single.groupBy("rep").agg(F.count("*").alias("own"))
-        sized = now.select("rep", F.size("members").cast("bigint").alias("n")).join(own, "rep", "left").select("rep", "n", (F.col("n") - F.coalesce("own", F.lit(0))).alias("m"))
-        out = store(sized.where(F.col("m") * 100 >= F.col("n") * percent), "able")
+        part = lambda i: lambda x: F.pmod(x, F.lit(PARTS)) == i
+        own = single.groupBy("rep").agg(*[F.count_if(part(i)(F.col("x"))).alias(f"s{i}") for i in range(PARTS)])
+        every = [F.size(F.filter("members", part(i))).alias(f"a{i}") for i in range(PARTS)]
+        sized = now.select("rep", F.size("members").cast("bigint").alias("n"), *every).join(own, "rep", "left")
+        sized = sized.select("rep", "n", *[(F.col(f"a{i}") - F.coalesce(f"s{i}", F.lit(0))).cast("int").alias(f"k{i}") for i in range(PARTS)])
+        shared = sum((F.col(f"k{i}") for i in range(1, PARTS)), F.col("k0"))
+        out = store(sized.withColumn("m", shared).where(F.col("m") * 100 >= F.col("n") * percent), "able")
         left = out.count()
         if left == before:
             break
@@ -188,7 +198,7 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     sets = near.mapInArrow(_sets, f"rep {kind}, n bigint, f1 bigint, f2 bigint, members array<bigint>")
     sets = store(sets.join(small(wanted), ["rep", *key], "left_semi").dropDuplicates(["rep", *key]).select("rep", "members"), "sets")
     able = _shared_sizes(sets, percent)
-    rows = met.join(small(able), "rep").select("cell", F.struct("rep", "n", "m").alias("own"))
+    rows = met.join(small(able), "rep").select("cell", F.struct("rep", "n", "m", *[f"k{i}" for i in range(PARTS)]).alias("own"))
     centres = rows.groupBy("cell").agg(F.min("own").alias("centre"), F.max("own").alias("hi")).where("centre.rep < hi.rep").select("cell", "centre")
     live = store(rows.join(centres, "cell"), "live")
 
