@@ -144,8 +144,8 @@ def _first_listed(made: DataFrame, held: dict[str, Cascade]) -> DataFrame:
 
 
 #: The rules of the registered query.
-BLOCK = ["com/en/", "net/de/", "org/es/"]
-ALLOW = ["example.com/en/7", "example.net/de/8"]
+BLOCK = ["com/en/", "example.net/de/8", "org/es/"]
+ALLOW = ["example.com/en/7", "net/de/"]
 
 
 def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -160,8 +160,8 @@ with parts as (
          coalesce(regexp_extract(url, '://[^/?#]*([^?#]*)', 1), '') as path
   from pages),
 rules(rule, rule_host, rule_path, kind) as (values
-  ('com/en/', 'com', '/en/', 'block'), ('net/de/', 'net', '/de/', 'block'), ('org/es/', 'org', '/es/', 'block'),
-  ('example.com/en/7', 'example.com', '/en/7', 'allow'), ('example.net/de/8', 'example.net', '/de/8', 'allow')),
+  ('com/en/', 'com', '/en/', 'block'), ('net/de/', 'net', '/de/', 'allow'), ('org/es/', 'org', '/es/', 'block'),
+  ('example.com/en/7', 'example.com', '/en/7', 'allow'), ('example.net/de/8', 'example.net', '/de/8', 'block')),
 judged as (
   select page_id, host, path,
          (select max_by(rule, length(rule)) from rules where (host = rule_host or ends_with(host, '.' || rule_host)) and starts_with(path, rule_path)) as rule
