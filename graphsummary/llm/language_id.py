@@ -8,8 +8,8 @@ falsely; the largest count decides.
 N-grams are the 4-byte windows of the UTF-8 text, A-Z lower-cased, runs of ASCII non-letters made one space. An n-gram
 belongs to a language if it is at least SHARE as frequent there as in the language where it is most frequent.
 
-A text that is null or has no letter is `und` with score 0, and so is every text if nothing was learned. Ties go to the
-first language by name. Repeated rows are judged alike, an empty table gives no rows.
+A text that is null or has no letter is `und` with score 0, and so is every text if nothing was learned. Ties, and texts too
+short for an n-gram, go to the first language by name. Repeated rows are judged alike, an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -138,7 +138,7 @@ def predict(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
             n = batch.num_rows
             value, ends = grams(data, offsets)
             count = np.diff(ends)
-            best, score = np.full(n, -1), np.zeros(n)
+            best, score = np.full(n, 0 if languages else -1), np.zeros(n)
             if len(value) and languages:
                 a, b, c = slots(value)
                 mask = masks[a] & masks[b] & masks[c]
@@ -146,7 +146,7 @@ def predict(docs: DataFrame, model: Model, text: str = "text") -> DataFrame:
                     sums = np.concatenate([[0], np.cumsum((mask >> np.uint64(i)) & np.uint64(1), dtype=np.int64)])
                     hits = sums[ends[1:]] - sums[ends[:-1]]
                     share = (hits / np.maximum(count, 1) - wrong[i]) / max(1 - wrong[i], 1e-9)
-                    better = (share > score + 1e-12) | (best < 0)
+                    better = share > score + 1e-12
                     best, score = np.where(better, i, best), np.where(better, np.clip(share, 0, 1), score)
             sums = np.concatenate([[0], np.cumsum(ascii_letter[data], dtype=np.int64)])
             has = sums[offsets[1:]] > sums[offsets[:-1]]
