@@ -13,7 +13,6 @@ from graphsummary.operators.sketch import PRIME, factors
 CELL = "create or replace temporary function affine_cell(x bigint, a bigint, b bigint, c bigint) returns bigint return pmod(pmod(a * pmod(x, {p}) + b, {p}), c)"
 
 
-@pandas_udf("array<bigint>")
 def cms_agg(keys: pd.Series, weights: pd.Series) -> np.ndarray:
     """A count-min matrix of depth 4 and width 257 as one flat array: an aggregate over groups that fit a task."""
     m = np.zeros((4, 257), np.int64)
@@ -33,7 +32,7 @@ class SketchCells:
 def register(spark: SparkSession) -> None:
     """affine_cell stays in generated code; cms_agg and sketch_cells run in Python workers."""
     spark.sql(CELL.format(p=PRIME))
-    spark.udf.register("cms_agg", cms_agg)
+    spark.udf.register("cms_agg", pandas_udf(cms_agg, "array<bigint>"))
     spark.udtf.register("sketch_cells", udtf(SketchCells, returnType="row_no int, cell bigint"))
 
 
