@@ -10,10 +10,13 @@ probability below 5e-5; no table, bucket or number of partners is capped. Keys a
 share a first sub-key with another, which loses no equal key.
 
 Documents with equal sets form a class first. Shingles that no other candidate has cannot be common to a pair; classes
-and pairs that could not reach the similarity even with all their other shingles in common are left out, which is exact. In a bucket, members are compared with a centre, all of a group at once;
-what one comparison links is contracted, and only buckets that still hold unlinked members go on, with four times as
-many centres each time, until every pair of a bucket is linked or was compared. So groups of any size cost rows in
-proportion to their members, and nothing is gathered in one task or on the driver.
+and pairs that could not reach the similarity even with all their other shingles in common are left out, which is exact.
+Pairs that share a shingle of at most RARE candidates are listed by it (a bounded number for each shingle) and compared
+if they share a table key; all others can only have frequent shingles in common, which bounds their similarity.
+In a bucket (an equal first sub-key), members are compared with a centre, the one with the fewest rare shingles, all of a
+group at once, if they share a table key; what one comparison links is contracted. A member goes on only while its
+bucket holds a member of another component that its sizes allow. Then all members outside a bucket's largest component
+become centres in turn, eight times as many each time. Nothing is gathered in one task or on the driver.
 
 Null and empty texts, and texts without words, have the empty set, are linked with nothing and stay. Rows that share a
 doc_id are one document with several texts: each row keeps its own n_shingles and they share a component. A null doc_id
@@ -26,7 +29,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from graphsummary.llm.common import as_long, documents, mix, slices, small, store, words
@@ -35,6 +38,8 @@ from graphsummary.operators.components import components
 SHINGLE, PERCENT = 5, 75
 ROWS, SUB = 4, 28
 SEED = 20231
+#: Shingles of at most so many candidates list their pairs.
+RARE = 6
 #: Parts of the hash space in which shared shingles are counted to rule pairs out.
 PARTS = 32
 #: Text for each pass over the min-hashes: the arrays should stay in a core's cache.
@@ -127,32 +132,32 @@ def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return same.where(F.col("same") * 100 >= (F.col("both") - F.col("same")) * percent).select("a", "b")
 
 
-def _possible(a: str, b: str, percent: int):
-    """Whether two classes can be similar enough: a and b name structs of rep, n (size), m (shingles that any other
-    candidate has too) and k0, k1, ... (the same by parts of the hash space). At most the smaller number is common, over
-    all and in each part, so this loses no link. The cheap test over all comes first."""
-    over_all = F.least(f"{a}.m", f"{b}.m")
-    common = sum((F.least(f"{a}.k{i}", f"{b}.k{i}") for i in range(1, PARTS)), F.least(f"{a}.k0", f"{b}.k0"))
-    enough = lambda c: c * 100 >= (F.col(f"{a}.n") + F.col(f"{b}.n") - c) * percent
-    return enough(over_all) & enough(common)
+def _enough(common, one, two, percent: int):
+    """Whether sets of sizes one and two with so many common shingles are similar enough."""
+    return common * 100 >= (one + two - common) * percent
+
+
+def _by_parts(pairs: DataFrame, often: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) without a rare shingle in common that can be similar enough if in each part of the hash space at most
+    the smaller number of frequent shingles is common; that loses no link."""
+    one, two = often.alias("one"), often.alias("two")
+    common = sum((F.least(f"one.k{i}", f"two.k{i}") for i in range(1, PARTS)), F.least("one.k0", "two.k0"))
+    both = pairs.join(one, F.col("a") == F.col("one.rep")).join(two, F.col("b") == F.col("two.rep"))
+    return both.where(_enough(common, F.col("one.n"), F.col("two.n"), percent)).select("a", "b")
 
 
 def _shared_sizes(sets: DataFrame, percent: int, passes: int = 4) -> DataFrame:
-    """(rep, n, m, k0, k1, ...): size, and how many shingles some other candidate has, by parts; without the reps that can
-    have no link.
+    """(rep, n, m): size, and how many shingles some other candidate has; without the reps that can have no link.
 
     What a left-out rep alone shared becomes single in turn, so a few passes leave out more; every pass is exact.
     """
     now, before, out = sets, None, None
     for _ in range(passes):
         single = now.select("rep", F.explode("members").alias("x")).groupBy("x").agg(F.min("rep").alias("rep"), F.count("*").alias("holders")).where("holders = 1")
-        part = lambda i: lambda x: F.pmod(x, F.lit(PARTS)) == i
-        own = single.groupBy("rep").agg(*[F.count_if(part(i)(F.col("x"))).alias(f"s{i}") for i in range(PARTS)])
-        every = [F.size(F.filter("members", part(i))).alias(f"a{i}") for i in range(PARTS)]
-        sized = now.select("rep", F.size("members").cast("bigint").alias("n"), *every).join(own, "rep", "left")
-        sized = sized.select("rep", "n", *[(F.col(f"a{i}") - F.coalesce(f"s{i}", F.lit(0))).cast("int").alias(f"k{i}") for i in range(PARTS)])
-        shared = sum((F.col(f"k{i}") for i in range(1, PARTS)), F.col("k0"))
-        out = store(sized.withColumn("m", shared).where(F.col("m") * 100 >= F.col("n") * percent), "able")
+        own = single.groupBy("rep").agg(F.count("*").alias("single"))
+        sized = now.select("rep", F.size("members").cast("bigint").alias("n")).join(own, "rep", "left")
+        sized = sized.select("rep", "n", (F.col("n") - F.coalesce("single", F.lit(0))).alias("m"))
+        out = store(sized.where(F.col("m") * 100 >= F.col("n") * percent), "able")
         left = out.count()
         if left == before:
             break
@@ -160,10 +165,52 @@ def _shared_sizes(sets: DataFrame, percent: int, passes: int = 4) -> DataFrame:
     return out
 
 
-def _split_buckets(rows: DataFrame) -> DataFrame:
-    """Rows (cell, rep, own, comp) of the buckets that hold more than one component."""
-    open_ = rows.groupBy("cell").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("cell")
-    return rows.join(open_, "cell")
+def _rare(sets: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(x, rep) for every shingle of at most RARE reps; and (rep, n, f, k0, k1, ...): size and number of the other, frequent
+    shingles, over all and by parts of the hash space."""
+    each = sets.select("rep", F.explode("members").alias("x"))
+    few = each.groupBy("x").agg(F.count("*").alias("holders")).where(F.col("holders") <= RARE).select("x")
+    rare = store(each.join(few, "x").select("x", "rep"), "rare")
+    part = lambda i: lambda x: F.pmod(x, F.lit(PARTS)) == i
+    own = rare.groupBy("rep").agg(*[F.count_if(part(i)(F.col("x"))).alias(f"s{i}") for i in range(PARTS)])
+    every = [F.size(F.filter("members", part(i))).alias(f"a{i}") for i in range(PARTS)]
+    sized = sets.select("rep", F.size("members").cast("bigint").alias("n"), *every).join(own, "rep", "left")
+    sized = sized.select("rep", "n", *[(F.col(f"a{i}") - F.coalesce(f"s{i}", F.lit(0))).cast("int").alias(f"k{i}") for i in range(PARTS)])
+    return rare, store(sized.withColumn("f", sum((F.col(f"k{i}") for i in range(1, PARTS)), F.col("k0"))), "often")
+
+
+def _meeting(pairs: DataFrame, reps: DataFrame) -> DataFrame:
+    """Pairs (a, b) with an equal table key: one sub-key of each collection agrees."""
+    keys = lambda end: reps.select(F.col("rep").alias(end), F.col("left").alias(f"{end}_left"), F.col("right").alias(f"{end}_right"))
+    meet = F.arrays_overlap("a_left", "b_left") & F.arrays_overlap("a_right", "b_right")
+    return pairs.join(keys("a"), "a").join(keys("b"), "b").where(meet).select("a", "b")
+
+
+def _rare_pairs(rare: DataFrame, able: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) that share a rare shingle and a table key and whose sizes allow a link."""
+    held = rare.join(small(able), "rep").select("x", "rep", "n", "m")
+    one, two = held.alias("one"), held.alias("two")
+    fits = _enough(F.least("one.m", "two.m"), F.col("one.n"), F.col("two.n"), percent)
+    pairs = one.join(two, (F.col("one.x") == F.col("two.x")) & (F.col("one.rep") < F.col("two.rep")) & fits)
+    pairs = store(pairs.select(F.col("one.rep").alias("a"), F.col("two.rep").alias("b")).distinct(), "rare-pairs")
+    return _meeting(pairs, reps)
+
+
+def _open(rows: DataFrame, percent: int) -> DataFrame:
+    """Rows (cell, rep, n, f, comp) whose cell holds a row of another component that their sizes n and frequent shingles f
+    allow. Of each cell and size, the two components with the largest f decide that for every row."""
+    each = rows.groupBy("cell", "n", "comp").agg(F.max("f").alias("f"))
+    place = F.row_number().over(Window.partitionBy("cell", "n").orderBy(F.desc("f")))
+    best = each.withColumn("place", place).where("place <= 2").select(F.struct("cell", "n", "f", "comp").alias("other"))
+    fits = _enough(F.least("f", "other.f"), F.col("n"), F.col("other.n"), percent)
+    return rows.join(best, (F.col("cell") == F.col("other.cell")) & (F.col("comp") != F.col("other.comp")) & fits, "left_semi")
+
+
+def _outside(rows: DataFrame) -> DataFrame:
+    """Rows that are not of their cell's largest component."""
+    sizes = rows.groupBy("cell", "comp").agg(F.count("*").alias("size"))
+    largest = sizes.groupBy("cell").agg(F.max_by("comp", F.struct("size", "comp")).alias("largest"))
+    return rows.join(largest, "cell").where("comp <> largest").drop("largest")
 
 
 def _relabel(rows: DataFrame, links: DataFrame) -> DataFrame:
@@ -191,36 +238,44 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     cells = reps.select("rep", "right").join(mine, "rep").select("rep", F.explode("firsts").alias("first"), "right")
     cells = store(cells.select("rep", F.explode(F.transform("right", lambda r: F.xxhash64(F.col("first"), r))).alias("cell")), "cells")
     crowded = cells.groupBy("cell").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("cell")
-    met = store(cells.join(crowded, "cell"), "met")
+    met = cells.join(crowded, "cell").select("rep").distinct()
 
-    wanted = store(met.select("rep").distinct().join(reps.select("rep", *key), "rep"), "wanted")
+    wanted = store(met.join(reps.select("rep", *key), "rep"), "wanted")
     near = source.withColumnRenamed("doc_id", "rep").join(small(wanted.select("rep").distinct()), "rep", "left_semi")
     sets = near.mapInArrow(_sets, f"rep {kind}, n bigint, f1 bigint, f2 bigint, members array<bigint>")
     sets = store(sets.join(small(wanted), ["rep", *key], "left_semi").dropDuplicates(["rep", *key]).select("rep", "members"), "sets")
     able = _shared_sizes(sets, percent)
-    rows = met.join(small(able), "rep").select("cell", F.struct("rep", "n", "m", *[f"k{i}" for i in range(PARTS)]).alias("own"))
-    centres = rows.groupBy("cell").agg(F.min("own").alias("centre"), F.max("own").alias("hi")).where("centre.rep < hi.rep").select("cell", "centre")
-    live = store(rows.join(centres, "cell"), "live")
-
-    # every class against one centre, the smallest that it can be similar to
-    stars = live.where(F.col("centre.rep") < F.col("own.rep")).where(_possible("centre", "own", percent))
-    tested = store(stars.groupBy(F.col("own.rep").alias("b")).agg(F.min("centre.rep").alias("a")).select("a", "b"), "tested")
+    rare, often = _rare(sets.join(small(able.select("rep")), "rep", "left_semi"))
+    tested = store(_rare_pairs(rare, able, reps, percent), "tested")
     links = store(_confirmed(tested, sets, percent), "links")
-    label = components(links, "a", "b").toDF("rep", "comp")
-    rows = live.select("cell", "own", F.col("own.rep").alias("rep")).join(small(label), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
-    rows, width = store(_split_buckets(rows), "open"), 1
+
+    rows = often.where(F.col("f") * 100 >= F.col("n") * percent).select("rep", "n", "f").join(mine, "rep")
+    rows = rows.select(F.explode("firsts").alias("cell"), "rep", "n", "f")
+    rows = _relabel(rows.withColumn("comp", F.col("rep")), links)
+    rows, width = store(_open(rows, percent), "open"), 0
     while rows.limit(1).count():
-        salt = F.pmod(F.xxhash64("rep", F.lit(width)), F.lit(width))
-        centre = store(rows.groupBy("cell", salt.alias("salt")).agg(F.min(F.struct("rep", "own", "comp")).alias("c")).select("cell", F.col("c.own").alias("centre"), F.col("c.comp").alias("ccomp")), "centres")
-        pairs = rows.join(centre, "cell").where((F.col("comp") != F.col("ccomp")) & _possible("centre", "own", percent))
-        pairs = pairs.select(F.least("rep", "centre.rep").alias("a"), F.greatest("rep", "centre.rep").alias("b")).distinct().join(tested, ["a", "b"], "left_anti")
-        pairs = store(pairs, "tested")
+        # first every row against the best centre of all its cells, then against the centres of each cell
+        salt = F.pmod(F.xxhash64("rep", F.lit(width)), F.lit(max(width, 1)))
+        own = F.struct((F.col("n") - F.col("f")).alias("rare"), "rep", "n", "f", "comp")
+        centre = (_outside(rows) if width else rows).groupBy("cell", salt.alias("salt")).agg(F.min(own).alias("centre")).select("cell", "centre")
+        centre = store(centre, "centres")
+        fits = _enough(F.least("f", "centre.f"), F.col("n"), F.col("centre.n"), percent)
+        pairs = rows.join(centre, "cell").where((F.col("comp") != F.col("centre.comp")) & fits)
+        if width:
+            pairs = pairs.select("rep", F.col("centre.rep").alias("with"))
+        else:
+            pairs = pairs.groupBy("rep").agg(F.min("centre").alias("centre")).select("rep", F.col("centre.rep").alias("with"))
+        pairs = pairs.select(F.least("rep", "with").alias("a"), F.greatest("rep", "with").alias("b")).distinct()
+        pairs = store(_by_parts(pairs.join(tested, ["a", "b"], "left_anti"), often, percent), "bounded")
+        pairs = store(_meeting(pairs, reps), "tested")
         more = store(_confirmed(pairs, sets, percent), "links")
         links, tested = links.union(more), tested.union(pairs)
         of = rows.select("rep", "comp").distinct()
         between = more.join(of.toDF("a", "ca"), "a").join(of.toDF("b", "cb"), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b"))
-        rows = rows.join(centre.select("cell", F.col("centre.rep").alias("rep")), ["cell", "rep"], "left_anti")
-        rows, width = store(_split_buckets(_relabel(rows, store(between, "between"))), "open"), width * 4
+        if width:
+            rows = rows.join(centre.select("cell", F.col("centre.rep").alias("rep")), ["cell", "rep"], "left_anti")
+        rows = store(_open(_relabel(rows, store(between, "between")), percent), "open")
+        width = width * 8 or 1
     label = components(links, "a", "b").toDF("rep", "component_id")
 
     named = classes.join(label, "rep", "left").select(*key, F.coalesce("component_id", "rep").alias("component_id"))
