@@ -211,6 +211,14 @@ def test_decontaminate(spark, texts, docs, sf, odd, empty):
     assert decontaminate.matches(odd, one).count() == decontaminate.matches(empty, one).count() == decontaminate.matches(odd, one.limit(0)).count() == 0
 
 
+def test_decontaminate_items_without_dense_windows(spark):
+    items = {1: "Alice has 3 apples, Bob has 4 pears, Carol has 5 plums, Dan has 6 figs", 2: "Evaluate 12 + 7x - 3 when x = 4", 3: "小明有三个苹果，小红比小明多两个梨，他们一共有多少个水果？", 4: "7 x 8"}
+    one = spark.createDataFrame(list(items.items()), "item_id bigint, text string")
+    cases = {i: f"Some text: {t} and more." for i, t in items.items()} | {5: "前文。" + items[3].replace("，", " ") + "后文", 6: "Alice has 3 apples, Bob has 4 pears, and that is all", 7: "Evaluate 12 + 7x - 3 when x = 5", 8: items[1].upper(), 9: "小明有三个苹果，别的都不一样"}
+    got = {(r["doc_id"], r["item_id"]) for r in decontaminate.matches(frame(spark, list(cases.items())), one).collect()}
+    assert got == {(1, 1), (2, 2), (3, 3), (4, 4), (5, 3), (8, 1)}
+
+
 def test_pipeline(spark, sf, docs, texts):
     import corpus_pipeline
 
