@@ -198,6 +198,22 @@ def test_language_id(spark, sf, docs, odd, empty):
     assert language_id.predict(empty, model).count() == 0
 
 
+def test_language_id_of_many_languages_and_n_grams(spark, monkeypatch):
+    rng = random.Random(5)
+    words = {f"l{i:03}": ["".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=6)) for _ in range(8)] for i in range(130)}
+    rows = [(i, " ".join(w * 3), k) for i, (k, w) in enumerate(words.items())]
+    many = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    model = language_id.learn(many)
+    want = {(i, k) for i, _, k in rows}
+    assert {(r["doc_id"], r["lang_pred"]) for r in language_id.predict(many, model).collect()} == want
+    monkeypatch.setattr(language_id, "SHARD_BYTES", 1)  # one mask a pass
+    assert {(r["doc_id"], r["lang_pred"]) for r in language_id.predict(many, model).collect()} == want
+    noise = lambda n: "".join(map(chr, np.random.default_rng(n).integers(0x80, 0x800, n)))
+    twice = lambda n: spark.createDataFrame([(noise(n), "aa")] * 2, "text string, lang string")
+    assert language_id.learn(twice(150_000)).false_rates[0] <= 0.01  # some 300,000 n-grams that are in the language
+    assert language_id.learn(twice(700_000)).false_rates[0] <= 0.01  # what occurs twice in 2.8 million is noise
+
+
 def test_decontaminate(spark, texts, docs, sf, odd, empty):
     bench = spark.read.parquet(f"{sf}/benchmark.parquet")
     items = {r["item_id"]: r["text"] for r in bench.collect()}
