@@ -217,6 +217,7 @@ ORACLES: dict[str, str] = {
     "top_neighbours": f"with e as (select distinct l_suppkey as src, l_partkey + {SECOND} as dst from lineitem), d as (select dst, count(*) as deg from e group by dst) select src, dst, deg, row_number() over (partition by src order by deg desc, dst) as rank from e join d using (dst) qualify rank <= 3",
     "top_neighbours_lateral": plain(PLANTED, "select src, dst from e qualify row_number() over (partition by src order by dst) <= 2"),
     "community_members_list": plain(TRUE, "select community, array_to_string(list_sort(list(node))[1:10], ',') as members from truth group by community"),
+    "community_members_all": plain(TRUE, "select community, node // 1000 as chunk, array_to_string(list_sort(list(node)), ',') as members from truth group by community, chunk"),
     "last_label": plain(f"{PLANTED}, {found()}", "select loser, arg_max(winner, seq) as last, arg_min(winner, seq) as first from ev group by loser"),
     "sizes_rollup": plain(_TYPED, "select community, side, cast(sum(deg) as bigint) as size, count(*) as n from typed group by rollup (community, side)"),
     "edges_cube": plain(_TYPED, "select community, side, max(deg) as most, count(*) as n from typed group by cube (community, side)"),

@@ -521,10 +521,21 @@ def top_neighbours_lateral(s, d):
 # ---------------------------------------------------------------- aggregates and windows
 @query
 def community_members_list(s, d):
+    """The ten smallest members, as its SQL has it; community_members_all has all of them."""
     a = g.planted_truth(planted(s, d))
     return a.groupBy("community").agg(F.array_join(F.transform(F.slice(F.array_sort(F.collect_list("node")), 1, 10), lambda x: x.cast("string")), ",").alias("members"))
 
 
+CHUNK = 1000
+
+
+@query
+def community_members_all(s, d):
+    """Every member, in sorted lists of CHUNK at most: the members of a community whose ids divided by CHUNK are chunk."""
+    a = g.planted_truth(planted(s, d)).withColumn("chunk", F.floor(F.col("node") / CHUNK))
+    return a.groupBy("community", "chunk").agg(F.array_join(F.transform(F.array_sort(F.collect_list("node")), lambda x: x.cast("string")), ",").alias("members"))
+
+
 @query
 def last_label(s, d):
     ev = detect.copy_events(detect.admitted(planted(s, d), CAP))

@@ -21,3 +21,9 @@ def test_query(spark, sf, name):
 @pytest.mark.parametrize("name", ["w4_cap_scale", "w12_overhead", "time_saved", "w17_modularity_truths"])
 def test_workload(spark, sf, name):
     assert same(workloads.QUERIES[name](spark, sf), workloads.ORACLES[name], sf)
+
+
+def test_community_members_all(spark, sf):
+    assert same(queries.QUERIES["community_members_all"](spark, sf), oracles.ORACLES["community_members_all"], sf)
+    listed = [x for r in queries.QUERIES["community_members_all"](spark, sf).collect() for x in r["members"].split(",")]
+    assert len(listed) == len(set(listed)) == queries.QUERIES["degrees"](spark, sf).count()
