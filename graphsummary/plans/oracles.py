@@ -205,6 +205,8 @@ ORACLES: dict[str, str] = {
     "supplier_part_edges": f"select distinct l_suppkey as src, l_partkey + {SECOND} as dst from lineitem",
     "customer_supplier_edges": f"select distinct o_custkey as src, l_suppkey + {SECOND} as dst from orders join lineitem on o_orderkey = l_orderkey",
     "shared_line_edges": plain(_LINES, "select distinct a.doc_id as src, b.doc_id as dst from sl a join sl b on a.line = b.line and a.doc_id < b.doc_id"),
+    "shared_line_hubs": """with ln as (select distinct doc_id, trim(l) as line from (select doc_id, unnest(string_split(text, chr(10))) as l from documents where doc_id is not null) where trim(l) <> ''),
+hub as (select line, min(doc_id) as src from ln group by line having count(*) > 1) select distinct src, doc_id as dst from ln join hub using (line) where doc_id <> src""",
     "user_next_edges": plain(_NEXT, "select distinct least(a, b) as src, greatest(a, b) as dst from nx where b is not null and a <> b"),
     "nation_trade": plain(_TRADE, "select * from trade"),
     "sample_edges": "select src, dst from (select distinct l_orderkey as src, l_partkey + 1000000000 as dst from lineitem) where ((src * 7919 + dst * 104729) % 1000003) % 100 < 5",

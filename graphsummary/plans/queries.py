@@ -402,17 +402,17 @@ def summarise(s, d):
 
 @query
 def stylise(s, d):
-    return pipeline.stylise(g.graph(s, d, "doc_share"), Params(rounds=3), whole_iterations=50)
+    return pipeline.stylise(g.graph(s, d, "doc_hub"), Params(rounds=3), whole_iterations=50)
 
 
 @query
 def svg(s, d):
-    return pipeline.summarise(g.graph(s, d, "doc_share"), Params(rounds=3)).svg()
+    return pipeline.summarise(g.graph(s, d, "doc_hub"), Params(rounds=3)).svg()
 
 
 @query
 def whole_layout(s, d):
-    return baselines.whole_layout(g.graph(s, d, "doc_share"), 50)[0]
+    return baselines.whole_layout(g.graph(s, d, "doc_hub"), 50)[0]
 
 
 @query
@@ -460,6 +460,7 @@ named("copurchase_edges", lambda s, d: g.copurchase(s, d).select("src", "dst"))
 named("supplier_part_edges", lambda s, d: g.supp_part(s, d).select("src", "dst"))
 named("customer_supplier_edges", lambda s, d: g.cust_supp(s, d).select("src", "dst"))
 named("shared_line_edges", lambda s, d: g.doc_share(s, d).select("src", "dst"))
+named("shared_line_hubs", lambda s, d: g.doc_hub(s, d).select("src", "dst"))  # every shared line, where the one above has those of G7
 named("user_next_edges", lambda s, d: g.user_next(s, d).select("src", "dst"))
 named("nation_trade", lambda s, d: g.nation_trade(s, d))
 named("sample_edges", lambda s, d: baselines.edge_sample(g.graph(s, d, "order_part"), 5).select("src", "dst"))

@@ -424,11 +424,11 @@ def w18_stream_agrees(s, d):
 
 
 def w1_main_small(s, d):
-    return w1(s, d, ("doc_share",), 50, 100)
+    return w1(s, d, ("doc_hub",), 50, 100)
 
 
 def w11_stability(s, d):
-    return w11(s, d, ("doc_share",))
+    return w11(s, d, ("doc_hub",))
 
 
 QUERIES = {

@@ -76,6 +76,15 @@ def doc_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pairs(both, F.col("a"), F.col("b"))
 
 
+def doc_hub(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Links from the smallest doc_id that holds a line to every other one: each line in two or more documents counts, short and
+    frequent ones too, at one link for a document and line. Documents are connected as by all pairs."""
+    d = table(spark, sf_dir, "documents").where("doc_id is not null").select("doc_id", F.explode(F.split("text", "\n")).alias("raw"))
+    lines = d.select("doc_id", F.trim("raw").alias("line")).where("line <> ''").distinct()
+    hubs = lines.groupBy("line").agg(F.min("doc_id").alias("hub"), F.count("*").alias("n")).where("n > 1").select("line", "hub")
+    return pairs(lines.join(hubs, "line").where("hub <> doc_id"), F.col("hub"), F.col("doc_id"))
+
+
 def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(src, dst) as text: a page's host and the targets of its links."""
     p = table(spark, sf_dir, "pages").select("url", "html")
@@ -150,7 +159,7 @@ def toy(spark: SparkSession, sf_dir: str = "") -> DataFrame:
 
 
 GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    "copurchase": copurchase, "cust_part": cust_part, "order_part": order_part, "supp_part": supp_part, "cust_supp": cust_supp, "user_next": user_next, "doc_share": doc_share,
+    "copurchase": copurchase, "cust_part": cust_part, "order_part": order_part, "supp_part": supp_part, "cust_supp": cust_supp, "user_next": user_next, "doc_share": doc_share, "doc_hub": doc_hub,
     "page_links": page_graph, "planted": planted, "event_key": event_key, "vec_knn": vec_knn, "conv_chain": conv_chain, "doc_item": doc_item,
 }
 

@@ -27,3 +27,11 @@ def test_community_members_all(spark, sf):
     assert same(queries.QUERIES["community_members_all"](spark, sf), oracles.ORACLES["community_members_all"], sf)
     listed = [x for r in queries.QUERIES["community_members_all"](spark, sf).collect() for x in r["members"].split(",")]
     assert len(listed) == len(set(listed)) == queries.QUERIES["degrees"](spark, sf).count()
+
+
+def test_frequent_and_short_lines_link_documents(spark, sf, tmp_path):
+    assert same(queries.QUERIES["shared_line_hubs"](spark, sf), oracles.ORACLES["shared_line_hubs"], sf)
+    rows = [(i, f"a line that stands in very many documents\nown {i}") for i in range(60)] + [(100, "short\nx"), (101, "y\n short ")]
+    spark.createDataFrame(rows, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {tuple(r) for r in queries.QUERIES["shared_line_hubs"](spark, str(tmp_path)).collect()}
+    assert got == {(0, i) for i in range(1, 60)} | {(100, 101)}
