@@ -6,6 +6,7 @@ Unless it says otherwise a query runs on the planted graph: customer-part pairs
 from __future__ import annotations
 
 from collections.abc import Callable
+from contextvars import ContextVar
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -37,8 +38,25 @@ def rounded(c: str, digits: int = 6) -> Column:
     return (F.round(c, digits) + F.lit(0.0)).alias(c)
 
 
+#: The graph that planted() gives; whole() sets another one while it builds a query.
+_GRAPH = ContextVar("graph", default="planted")
+
+
 def planted(s: SparkSession, d: str) -> DataFrame:
-    return g.graph(s, d, "planted")
+    return g.graph(s, d, _GRAPH.get())
+
+
+def whole(name: str, graph: str) -> None:
+    """Register a query on a whole graph too, as name_graph; it has no SQL."""
+
+    def run(s, d, f=QUERIES[name]):
+        token = _GRAPH.set(graph)
+        try:
+            return f(s, d)
+        finally:
+            _GRAPH.reset(token)
+
+    QUERIES[f"{name}_{graph}"] = run
 
 
 def sized(s: SparkSession, d: str) -> DataFrame:
@@ -637,3 +655,9 @@ def streaming_detect(s, d):
     flow = s.readStream.schema(rows.schema).option("maxFilesPerTrigger", 2).parquet(rows._stored_at)
     attach.attach(flow, detector, f"{base}/checkpoint").awaitTermination()
     return detector.state()
+
+
+# ---------------------------------------------------------------- general operators on the whole customer-part graph
+_GENERAL = ("degrees", "degree_histogram", "base_cap_", "admitted_edges", "assignment_", "bulk_assignment", "sketch_", "superedges", "components", "label_propagation", "summarise")
+for _name in [k for k in QUERIES if any(k == x or x.endswith("_") and k.startswith(x) for x in _GENERAL)]:
+    whole(_name, "cust_part")

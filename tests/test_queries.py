@@ -35,3 +35,10 @@ def test_frequent_and_short_lines_link_documents(spark, sf, tmp_path):
     spark.createDataFrame(rows, "doc_id bigint, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {tuple(r) for r in queries.QUERIES["shared_line_hubs"](spark, str(tmp_path)).collect()}
     assert got == {(0, i) for i in range(1, 60)} | {(100, 101)}
+
+
+def test_general_operators_on_the_whole_graph(spark, sf):
+    pairs = "select distinct o_custkey as src, l_partkey + 10000000 as dst from orders join lineitem on o_orderkey = l_orderkey"
+    degrees = f"with e as ({pairs}) select node, count(*) as deg from (select src as node from e union all select dst from e) group by node"
+    assert same(queries.QUERIES["degrees_cust_part"](spark, sf), degrees, sf)
+    assert same(queries.QUERIES["degrees"](spark, sf), oracles.ORACLES["degrees"], sf)
