@@ -4,7 +4,7 @@ Texts become template tokens: numbers, names and units turn into typed placehold
 one), other words are lower-cased. Windows of template tokens of the documents are joined with those of the benchmark by
 hash. Matches of a document and an item on one alignment are put together; the pair is reported if they cover COVER
 tokens or the whole of a shorter item (but for one window), and the slots are consistent: each value of the item has one value in the
-document and the other way round. So a question is also found after its numbers and names were changed throughout.
+document, where different values may become equal. So a question is also found after its numbers and names were changed throughout.
 
 A token is a run of letters and digits. A number starts with a digit. A unit is one of UNITS after a number. A name
 starts with a capital inside a sentence. Windows with fewer than LITERALS plain words are too common to find anything by:
@@ -201,8 +201,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text:
     lines = dense.select("doc_id", "item_id", "shift", "length").distinct().join(small(of(items, SPARSE), n_items), ["item_id", "length"]).withColumn("doc_at", F.col("shift") + F.col("item_at"))
     sparse = lines.alias("l").join(of(found, SPARSE).alias("f"), F.expr("l.doc_id <=> f.doc_id and l.h = f.h and l.doc_at = f.doc_at")).select("l.*", "f.doc_slots").where(F.size("doc_slots") == F.size("item_slots")).select(*columns)
     lined = dense.unionByName(sparse).groupBy("doc_id", "item_id", "shift").agg(F.countDistinct("item_at").alias("n_windows"), F.max("length").alias("length"), F.array_distinct(F.flatten(F.collect_list("slots"))).alias("slots"))
-    values = lambda side: F.size(F.array_distinct(F.transform("slots", lambda s: s[side])))
-    lined = lined.where((values("i") == F.size("slots")) & (values("d") == F.size("slots")))
+    lined = lined.where(F.size(F.array_distinct(F.transform("slots", lambda s: s["i"]))) == F.size("slots"))
     number = lambda *kinds: F.countDistinct(F.when(F.col("kind").isin(*kinds), F.col("item_at")))
     whole = small(store(items.groupBy("item_id").agg(number(DENSE, SPARSE).alias("item_windows"), number(DENSE).alias("item_dense"), number(LITERAL).alias("item_literals"), F.max("points").alias("points")), "whole"))
     # a text's first word may be a name on one side and open a sentence on the other: one window may differ

@@ -235,6 +235,13 @@ def test_decontaminate_items_without_dense_windows(spark):
     assert got == {(1, 1), (2, 2), (3, 3), (4, 4), (5, 3), (8, 1)}
 
 
+def test_decontaminate_values_that_become_equal_and_merged_names(spark):
+    items = {1: "A shop sold 48 red clips to its old friend in April, and then half as many again for 12 dollars in the month of May", 2: "John Smith bought nine red clips in the shop before the friend of Smith came along and sold all of them again"}
+    one = spark.createDataFrame(list(items.items()), "item_id bigint, text string")
+    cases = {1: items[1].replace("48", "30").replace("12", "30"), 2: f"we heard that {items[2]}"}
+    assert {(r["doc_id"], r["item_id"]) for r in decontaminate.matches(frame(spark, list(cases.items())), one).collect()} == {(1, 1), (2, 2)}
+
+
 def test_pipeline(spark, sf, docs, texts):
     import corpus_pipeline
 
