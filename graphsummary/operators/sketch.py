@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphsummary.sources.storage import BROADCAST_ROWS
+from graphsummary.sources.storage import BROADCAST_BYTES
 
 PRIME = (1 << 31) - 1
 #: The factors of the first four rows, as in the fixtures. Further rows and other seeds are drawn.
@@ -58,7 +58,7 @@ def build(df: DataFrame, key: str, weight: str | None = None, depth: int = 4, wi
 
 def estimate(sketch: DataFrame, keys: DataFrame, key: str, depth: int = 4, width: int = 16, seed: int | None = None) -> DataFrame:
     """(key, est): the least of the key's cells. The sketch is broadcast if its cells have a bound that allows it."""
-    held = F.broadcast(sketch) if depth * width <= BROADCAST_ROWS else sketch
+    held = F.broadcast(sketch) if depth * width * 40 <= BROADCAST_BYTES else sketch
     rows = keys.select(F.col(key), F.explode(cells(F.col(key), depth, width, seed)).alias("c")).select(key, "c.*")
     return rows.join(held, ["row_no", "cell"], "left").groupBy(key).agg(F.min(F.coalesce("cnt", F.lit(0))).alias("est"))
 

@@ -7,21 +7,26 @@ import os
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BinaryType, MapType, StringType, StructType
 
-#: Largest table, in rows, that is sent to every executor.
-BROADCAST_ROWS = 1_000_000
+#: Largest table, in bytes of its rows, that is sent to every executor.
+BROADCAST_BYTES = 32 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or one of our own where that is unset."""
+    """The folder that all executors share: spark.checkpoint.dir, or one of our own where that is unset: in the warehouse,
+    and in the machine's temporary folder only in local mode."""
     given = spark.conf.get("spark.checkpoint.dir", None)
     if given:
         return given.rstrip("/")
     if (now := spark.sparkContext.getCheckpointDir()) is not None:
         return now.rstrip("/")
-    spark.sparkContext.setCheckpointDir(os.path.join(tempfile.gettempdir(), "checkpoints"))
+    if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":  # one machine, as in tests
+        spark.sparkContext.setCheckpointDir(os.path.join(tempfile.gettempdir(), "checkpoints"))
+    else:
+        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/checkpoints")
     return spark.sparkContext.getCheckpointDir().rstrip("/")
 
 
@@ -49,6 +54,28 @@ def discard(df: DataFrame) -> None:
     _remove_quietly(df.sparkSession, df._stored_at)  # type: ignore[attr-defined]
 
 
-def small(df: DataFrame, rows: int | None = None) -> DataFrame:
-    """Mark a stored df for broadcast if it has at most BROADCAST_ROWS rows; otherwise leave the join to shuffle."""
-    return F.broadcast(df) if (df.count() if rows is None else rows) <= BROADCAST_ROWS else df
+def read(spark: SparkSession, stored: list[DataFrame]) -> DataFrame:
+    """The rows of several stored tables of one schema, as a single scan."""
+    return spark.read.schema(stored[0].schema).parquet(*[df._stored_at for df in stored])  # type: ignore[attr-defined]
+
+
+def row_bytes(df: DataFrame) -> Column:
+    """About the bytes that a row of df takes in memory."""
+    fixed, parts = 16, []
+    for f in df.schema:
+        if isinstance(f.dataType, (StringType, BinaryType)):
+            parts.append(F.coalesce(F.octet_length(f"`{f.name}`"), F.lit(0)) + 16)
+        elif isinstance(f.dataType, (ArrayType, MapType, StructType)):
+            parts.append(F.coalesce(F.octet_length(F.to_json(F.struct(f"`{f.name}`"))), F.lit(0)) * 2 + 16)
+        else:
+            fixed += 8
+    return sum(parts, F.lit(fixed)).cast("bigint")
+
+
+def small(df: DataFrame) -> DataFrame:
+    """df marked for broadcast if its rows are measured to take at most BROADCAST_BYTES; otherwise left for a shuffle.
+
+    The measurement runs df, so df should read stored tables.
+    """
+    size = df.agg(F.sum(row_bytes(df))).first()[0] or 0
+    return F.broadcast(df) if size <= BROADCAST_BYTES else df
