@@ -13,9 +13,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphsummary.sources.storage import discard, shared_dir, small, store
+from graphsummary.sources.storage import discard, read, shared_dir, small, store
 
-__all__ = ["discard", "shared_dir", "small", "store"]  # and all that stands below
+__all__ = ["discard", "read", "shared_dir", "small", "store"]  # and all that stands below
 
 #: Bytes of text that a Python worker turns into arrays at once; one longer text is handled alone.
 SLICE_BYTES = 4 << 20

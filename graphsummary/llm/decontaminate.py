@@ -194,11 +194,11 @@ def matches(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text:
     held = docs.sparkSession.sparkContext.broadcast((bits, lengths))
     found = store(source.where("text is not null").mapInArrow(_doc_windows(held), f"doc_id {doc_kind}, h bigint, doc_at int, doc_slots array<bigint>, kind int"), "found")
     of = lambda df, kind: df.where(F.col("kind") == kind).drop("kind")
-    n_items, shift = items.count(), (F.col("doc_at") - F.col("item_at")).alias("shift")
+    shift = (F.col("doc_at") - F.col("item_at")).alias("shift")
     columns = ["doc_id", "item_id", "shift", "item_at", "length", F.arrays_zip(F.col("item_slots").alias("i"), F.col("doc_slots").alias("d")).alias("slots")]
-    dense = of(found, DENSE).join(small(of(items, DENSE), n_items), "h").where(F.size("doc_slots") == F.size("item_slots")).withColumn("shift", shift).select(*columns)
+    dense = of(found, DENSE).join(small(of(items, DENSE)), "h").where(F.size("doc_slots") == F.size("item_slots")).withColumn("shift", shift).select(*columns)
     # windows with few plain words, on the alignments that the others have found
-    lines = dense.select("doc_id", "item_id", "shift", "length").distinct().join(small(of(items, SPARSE), n_items), ["item_id", "length"]).withColumn("doc_at", F.col("shift") + F.col("item_at"))
+    lines = dense.select("doc_id", "item_id", "shift", "length").distinct().join(small(of(items, SPARSE)), ["item_id", "length"]).withColumn("doc_at", F.col("shift") + F.col("item_at"))
     sparse = lines.alias("l").join(of(found, SPARSE).alias("f"), F.expr("l.doc_id <=> f.doc_id and l.h = f.h and l.doc_at = f.doc_at")).select("l.*", "f.doc_slots").where(F.size("doc_slots") == F.size("item_slots")).select(*columns)
     lined = dense.unionByName(sparse).groupBy("doc_id", "item_id", "shift").agg(F.countDistinct("item_at").alias("n_windows"), F.max("length").alias("length"), F.array_distinct(F.flatten(F.collect_list("slots"))).alias("slots"))
     lined = lined.where(F.size(F.array_distinct(F.transform("slots", lambda s: s["i"]))) == F.size("slots"))
@@ -207,7 +207,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text:
     # a text's first word may be a name on one side and open a sentence on the other: one window may differ
     enough = F.col("n_windows") >= F.greatest(F.lit(1), F.least(F.col("item_windows") - 1, F.lit(COVER + 1) - F.col("length")))
     by_template = lined.join(whole, "item_id").where(enough).select("doc_id", "item_id", F.struct(F.lit(1).alias("template"), "n_windows", "item_windows", F.size("slots").alias("n_slots")).alias("m"))
-    literal = of(found, LITERAL).join(small(of(items, LITERAL), n_items), "h").select("doc_id", "item_id", shift, "item_at", "length")
+    literal = of(found, LITERAL).join(small(of(items, LITERAL)), "h").select("doc_id", "item_id", shift, "item_at", "length")
     literal = literal.groupBy("doc_id", "item_id", "shift").agg(F.countDistinct("item_at").alias("n_windows"))
     part = F.when(F.col("points"), POINTS + 1 - WINDOW).when(F.col("item_dense") <= COVER - WINDOW, COVER + 1 - WINDOW)
     enough = F.col("n_windows") >= F.least("item_literals", part)  # least() passes over null: the whole item

@@ -1,26 +1,27 @@
 """Near-duplicate groups by MinHash with tensored banding.
 
-A document is the set of its distinct five-word shingles (64-bit hashes). Two small collections of sub-keys, each made
-of ROWS min-hashes, stand for its signature; a table's key combines one sub-key of the first collection with one of the
-second, so SUB + SUB sub-keys serve SUB * SUB tables and the number of min-hashes is about the square root of what as
-many separate tables would take. Pairs with an equal key are candidates; a link is confirmed on the full sets.
-
-At the least similarity of 0.75 a sub-key agrees with probability 0.75 ** 4, and a pair misses all 784 tables with
-probability below 5e-5; no table, bucket or number of partners is capped. Keys are only combined for documents that
-share a first sub-key with another, which loses no equal key.
-
-Documents with equal sets form a class first. Shingles that no other candidate has cannot be common to a pair; classes
-and pairs that could not reach the similarity even with all their other shingles in common are left out, which is exact.
-Pairs that share a shingle of at most RARE candidates are listed by it (a bounded number for each shingle) and compared
-if they share a table key; all others can only have frequent shingles in common, which bounds their similarity.
-In a bucket (an equal first sub-key), members are compared with a centre, the one with the fewest rare shingles, all of a
-group at once, if they share a table key; what one comparison links is contracted. A member goes on only while its
-bucket holds a member of another component that its sizes allow. Then all members outside a bucket's largest component
-become centres in turn, eight times as many each time. Nothing is gathered in one task or on the driver.
+A document is the set of its distinct five-word shingles (64-bit hashes); documents with equal sets form one class. Two
+small collections of sub-keys, each made of ROWS min-hashes, stand for a class's signature; a table's key combines one
+sub-key of the first collection with one of the second, so SUB + SUB sub-keys serve SUB * SUB tables and the number of
+min-hashes is about the square root of what as many separate tables would take. Classes with an equal table key (a cell)
+are candidates; a link is confirmed on the full sets. At the least similarity of 0.75 a sub-key agrees with probability
+0.75 ** 4, and a pair misses all 784 tables with probability below 5e-5; no cell or number of partners is capped. Keys are
+only combined from sub-keys that another class has too, which loses no equal key.
+
+The members of a cell are compared with one of them (a star), what is linked is contracted, and only cells that still
+hold several components go on. There, exact bounds come before any pair is made: shingles that at most RARE open classes
+have list their pairs (a bounded number each); all other pairs can have frequent shingles only in common, and a class
+whose frequent shingles cannot reach the similarity leaves its cells. In rounds, members outside a cell's largest
+component become centres, GROWTH times as many each time; the join itself rules out pairs of one component, of sizes that
+do not fit, and those that could not be similar enough if each of PARTS parts of the hash space had the smaller number of
+shingles in common. Every pair of a cell is confirmed, ruled out by a bound or inside one component in the end. A cell is
+one pair of sub-keys; the joins on it can be split by Spark where a cell is hot, and nothing is gathered in one task.
 
 Null and empty texts, and texts without words, have the empty set, are linked with nothing and stay. Rows that share a
-doc_id are one document with several texts: each row keeps its own n_shingles and they share a component. A null doc_id
-joins the component of an equal text, or has a null component and stays. An empty table gives no rows.
+doc_id are one document with several texts: each row keeps its own n_shingles and they share a component. A null
+doc_id joins the component of its text; a component of null ids only has a null component_id and stays. An empty table
+gives no rows. Other columns of docs are left out, whatever their names. A text is turned into arrays whole, about 30
+bytes for each of its own; it is never cut.
 """
 
 from __future__ import annotations
@@ -29,19 +30,22 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphsummary.llm.common import as_long, documents, mix, slices, small, store, words
+from graphsummary.llm.common import as_long, discard, documents, mix, read, slices, small, store, words
 from graphsummary.operators.components import components
 
 SHINGLE, PERCENT = 5, 75
 ROWS, SUB = 4, 28
 SEED = 20231
-#: Shingles of at most so many candidates list their pairs.
+#: Shingles of at most so many open classes list their pairs.
 RARE = 6
-#: Parts of the hash space in which shared shingles are counted to rule pairs out.
-PARTS = 32
+#: Parts of the hash space in which shared shingles are bounded, and how many of a part's shingles have a bit of their own.
+PARTS, LEVELS = 128, 8
+#: Centres of a cell grow so many times each round.
+GROWTH = 256
+HALVES, WORDS = PARTS // 64, PARTS // 64 * LEVELS
 #: Text for each pass over the min-hashes: the arrays should stay in a core's cache.
 PIECE = 1 << 20
 
@@ -121,164 +125,164 @@ def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch, data, offsets in slices(batches, "text", PIECE):
         values, ends = shingle_sets(data, offsets)
         n, f1, f2 = _set_columns(values, ends)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n), pa.array(as_long(f1)), pa.array(as_long(f2)), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(as_long(values)))], names=["rep", "n", "f1", "f2", "members"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n), pa.array(as_long(f1)), pa.array(as_long(f2)), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(as_long(values)))], names=["id", "n", "f1", "f2", "members"])
 
 
-def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) whose full sets are similar enough."""
-    one = sets.select(F.col("rep").alias("a"), F.col("members").alias("sa"))
-    two = sets.select(F.col("rep").alias("b"), F.col("members").alias("sb"))
-    same = pairs.join(one, "a").join(two, "b").select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("same"), (F.size("sa") + F.size("sb")).alias("both"))
-    return same.where(F.col("same") * 100 >= (F.col("both") - F.col("same")) * percent).select("a", "b")
-
-
-def _enough(common, one, two, percent: int):
-    """Whether sets of sizes one and two with so many common shingles are similar enough."""
-    return common * 100 >= (one + two - common) * percent
-
-
-def _by_parts(pairs: DataFrame, often: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) without a rare shingle in common that can be similar enough if in each part of the hash space at most
-    the smaller number of frequent shingles is common; that loses no link."""
-    one, two = often.alias("one"), often.alias("two")
-    common = sum((F.least(f"one.k{i}", f"two.k{i}") for i in range(1, PARTS)), F.least("one.k0", "two.k0"))
-    both = pairs.join(one, F.col("a") == F.col("one.rep")).join(two, F.col("b") == F.col("two.rep"))
-    return both.where(_enough(common, F.col("one.n"), F.col("two.n"), percent)).select("a", "b")
+def _shared(keys: DataFrame) -> DataFrame:
+    """(c, keys): for each class the sub-keys of column x that some other class has too."""
+    twice = keys.groupBy("x").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("x")
+    return keys.join(twice, "x").groupBy("c").agg(F.collect_list("x").alias("keys"))  # SUB keys at most
 
 
-def _shared_sizes(sets: DataFrame, percent: int, passes: int = 4) -> DataFrame:
-    """(rep, n, m): size, and how many shingles some other candidate has; without the reps that can have no link.
-
-    What a left-out rep alone shared becomes single in turn, so a few passes leave out more; every pass is exact.
-    """
-    now, before, out = sets, None, None
-    for _ in range(passes):
-        single = now.select("rep", F.explode("members").alias("x")).groupBy("x").agg(F.min("rep").alias("rep"), F.count("*").alias("holders")).where("holders = 1")
-        own = single.groupBy("rep").agg(F.count("*").alias("single"))
-        sized = now.select("rep", F.size("members").cast("bigint").alias("n")).join(own, "rep", "left")
-        sized = sized.select("rep", "n", (F.col("n") - F.coalesce("single", F.lit(0))).alias("m"))
-        out = store(sized.where(F.col("m") * 100 >= F.col("n") * percent), "able")
-        left = out.count()
-        if left == before:
-            break
-        before, now = left, sets.join(small(out.select("rep"), left), "rep", "left_semi")
-    return out
+def _cells(classes: DataFrame) -> DataFrame:
+    """(cell, c): the table keys that can be equal to another class's."""
+    left = store(_shared(classes.select("c", F.explode("left").alias("x"))).withColumnRenamed("keys", "lefts"), "lefts")
+    right = _shared(classes.join(left.select("c"), "c").select("c", F.explode("right").alias("x"))).withColumnRenamed("keys", "rights")
+    both = left.join(right, "c").select("c", F.explode("lefts").alias("first"), "rights")
+    return both.select(F.explode(F.transform("rights", lambda r: F.xxhash64("first", r))).alias("cell"), "c")
 
 
-def _rare(sets: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(x, rep) for every shingle of at most RARE reps; and (rep, n, f, k0, k1, ...): size and number of the other, frequent
-    shingles, over all and by parts of the hash space."""
-    each = sets.select("rep", F.explode("members").alias("x"))
-    few = each.groupBy("x").agg(F.count("*").alias("holders")).where(F.col("holders") <= RARE).select("x")
-    rare = store(each.join(few, "x").select("x", "rep"), "rare")
-    part = lambda i: lambda x: F.pmod(x, F.lit(PARTS)) == i
-    own = rare.groupBy("rep").agg(*[F.count_if(part(i)(F.col("x"))).alias(f"s{i}") for i in range(PARTS)])
-    every = [F.size(F.filter("members", part(i))).alias(f"a{i}") for i in range(PARTS)]
-    sized = sets.select("rep", F.size("members").cast("bigint").alias("n"), *every).join(own, "rep", "left")
-    sized = sized.select("rep", "n", *[(F.col(f"a{i}") - F.coalesce(f"s{i}", F.lit(0))).cast("int").alias(f"k{i}") for i in range(PARTS)])
-    return rare, store(sized.withColumn("f", sum((F.col(f"k{i}") for i in range(1, PARTS)), F.col("k0"))), "often")
+def _fits(one, two, percent: int):
+    return (one * 100 >= two * percent) & (two * 100 >= one * percent)
 
 
-def _meeting(pairs: DataFrame, reps: DataFrame) -> DataFrame:
-    """Pairs (a, b) with an equal table key: one sub-key of each collection agrees."""
-    keys = lambda end: reps.select(F.col("rep").alias(end), F.col("left").alias(f"{end}_left"), F.col("right").alias(f"{end}_right"))
-    meet = F.arrays_overlap("a_left", "b_left") & F.arrays_overlap("a_right", "b_right")
-    return pairs.join(keys("a"), "a").join(keys("b"), "b").where(meet).select("a", "b")
-
+def _enough(common, one, two, percent: int):
+    """Whether sets of sizes one and two with so many common shingles are similar enough."""
+    return common * 100 >= (one + two - common) * percent
 
-def _rare_pairs(rare: DataFrame, able: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) that share a rare shingle and a table key and whose sizes allow a link."""
-    held = rare.join(small(able), "rep").select("x", "rep", "n", "m")
-    one, two = held.alias("one"), held.alias("two")
-    fits = _enough(F.least("one.m", "two.m"), F.col("one.n"), F.col("two.n"), percent)
-    pairs = one.join(two, (F.col("one.x") == F.col("two.x")) & (F.col("one.rep") < F.col("two.rep")) & fits)
-    pairs = store(pairs.select(F.col("one.rep").alias("a"), F.col("two.rep").alias("b")).distinct(), "rare-pairs")
-    return _meeting(pairs, reps)
 
+def _confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) whose full sets are similar enough."""
+    one = sets.select(F.col("c").alias("a"), F.col("members").alias("sa"))
+    two = sets.select(F.col("c").alias("b"), F.col("members").alias("sb"))
+    same = pairs.join(one, "a").join(two, "b").select("a", "b", F.size(F.array_intersect("sa", "sb")).alias("same"), (F.size("sa") + F.size("sb")).alias("both"))
+    return same.where(F.col("same") * 100 >= (F.col("both") - F.col("same")) * percent).select("a", "b")
 
-def _open(rows: DataFrame, percent: int) -> DataFrame:
-    """Rows (cell, rep, n, f, comp) whose cell holds a row of another component that their sizes n and frequent shingles f
-    allow. Of each cell and size, the two components with the largest f decide that for every row."""
-    each = rows.groupBy("cell", "n", "comp").agg(F.max("f").alias("f"))
-    place = F.row_number().over(Window.partitionBy("cell", "n").orderBy(F.desc("f")))
-    best = each.withColumn("place", place).where("place <= 2").select(F.struct("cell", "n", "f", "comp").alias("other"))
-    fits = _enough(F.least("f", "other.f"), F.col("n"), F.col("other.n"), percent)
-    return rows.join(best, (F.col("cell") == F.col("other.cell")) & (F.col("comp") != F.col("other.comp")) & fits, "left_semi")
 
+def _sets_of(source: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(c, n, members): the full set of every wanted class (c, n, f1, f2, rep)."""
+    kind = source.schema["doc_id"].dataType.simpleString()
+    ids = wanted.select(F.col("rep").alias("id")).distinct()
+    near = source.withColumnRenamed("doc_id", "id").alias("s").join(small(store(ids, "ids")).alias("i"), F.expr("s.id <=> i.id"), "left_semi")
+    sets = near.mapInArrow(_sets, f"id {kind}, n bigint, f1 bigint, f2 bigint, members array<bigint>")
+    return store(sets.join(wanted.select("c", "n", "f1", "f2"), ["n", "f1", "f2"]).select("c", "n", "members").dropDuplicates(["c"]), "sets")
 
-def _outside(rows: DataFrame) -> DataFrame:
-    """Rows that are not of their cell's largest component."""
-    sizes = rows.groupBy("cell", "comp").agg(F.count("*").alias("size"))
-    largest = sizes.groupBy("cell").agg(F.max_by("comp", F.struct("size", "comp")).alias("largest"))
-    return rows.join(largest, "cell").where("comp <> largest").drop("largest")
 
+def _bounds(sets: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
+    """Pairs (a, b) that share a shingle of at most RARE of the classes; and (c, n, f, over, b0, b1, ...): size, number of
+    the other, frequent shingles, and these by parts of the hash space, of the classes that they alone could link.
 
-def _relabel(rows: DataFrame, links: DataFrame) -> DataFrame:
-    """comp of each row after links between comps."""
-    if not links.limit(1).count():
-        return rows
-    to = components(links, "a", "b").toDF("comp", "__to")
-    return rows.join(small(to), "comp", "left").withColumn("comp", F.coalesce("__to", "comp")).drop("__to")
+    Of k shingles in a part, the first LEVELS set a bit of their level each; over counts the rest.
+    """
+    each = sets.select("c", "n", F.explode("members").alias("x"))
+    held = each.groupBy("x").agg(F.count("*").alias("holders")).where(F.col("holders") <= RARE)
+    rare = store(each.join(held, "x").select("x", "c", "n", "holders"), "rare")
+    one, two = rare.where("holders > 1").alias("one"), rare.where("holders > 1").alias("two")
+    pairs = one.join(two, (F.col("one.x") == F.col("two.x")) & (F.col("one.c") < F.col("two.c")) & _fits(F.col("one.n"), F.col("two.n"), percent))
+    pairs = store(pairs.select(F.col("one.c").alias("a"), F.col("two.c").alias("b")).distinct(), "rare-pairs")
+    often = each.join(held.select("x"), "x", "left_anti").groupBy("c", "n", F.pmod("x", F.lit(PARTS)).cast("int").alias("part")).agg(F.count("*").alias("k"))
+    often = often.withColumns({"place": F.expr("shiftleft(1L, part % 64)"), "half": F.floor(F.col("part") / 64)})
+    bit = lambda w: F.coalesce(F.bit_or(F.when((F.col("half") == w % HALVES) & (F.col("k") > w // HALVES), F.col("place"))), F.lit(0).cast("bigint"))
+    over = F.sum(F.greatest(F.col("k") - LEVELS, F.lit(0).cast("bigint")))
+    sized = often.groupBy("c", "n").agg(F.sum("k").alias("f"), over.alias("over"), *[bit(w).alias(f"b{w}") for w in range(WORDS)])
+    return pairs, store(sized.where(_enough(F.col("f"), F.col("n"), F.col("f"), percent)), "bounds")
+
+
+def _several(rows: DataFrame) -> DataFrame:
+    """The rows (cell, comp, ...) of cells that hold several components."""
+    open_ = rows.groupBy("cell").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo < hi").select("cell")
+    return rows.join(open_, "cell", "left_semi")
+
+
+def _centres(rows: DataFrame, width: int) -> DataFrame:
+    """The rows with the fewest rare shingles, width for each cell, none of its largest component if width is over 1."""
+    if width > 1:
+        sizes = rows.groupBy("cell", "comp").agg(F.count("*").alias("size"))
+        largest = sizes.groupBy("cell").agg(F.max_by("comp", F.struct("size", "comp")).alias("largest"))
+        rows = rows.join(largest, "cell").where("comp <> largest")
+    order = F.struct(F.col("n") - F.col("f"), F.xxhash64("c"))
+    salt = F.pmod(F.xxhash64("c", F.lit(width)), F.lit(width)).alias("salt")
+    return rows.groupBy("cell", salt).agg(F.min_by("c", order).alias("c")).select("cell", "c")
+
+
+def _proved(rows: DataFrame, comps: DataFrame, bounds: DataFrame, sets: DataFrame, known: list[DataFrame], percent: int) -> list[DataFrame]:
+    """Links between the components (c, comp) of open cells, by centres until every pair is ruled out or confirmed."""
+    spark, links, width = rows.sparkSession, [], 1
+    facts = store(bounds.join(comps, "c", "left").withColumn("comp", F.coalesce("comp", "c")), "facts")
+    bits = [F.bit_count(F.col(f"one.b{w}").bitwiseAND(F.col(f"two.b{w}"))) for w in range(WORDS)]
+    common = F.least(F.col("one.f"), F.col("two.f"), sum(bits, F.least("one.over", "two.over")))
+    able = (F.col("one.comp") != F.col("two.comp")) & (common * (100 + percent) >= (F.col("one.n") + F.col("two.n")) * percent)
+    while True:
+        sent = small(facts)
+        now = store(_several(rows.join(sent.select("c", "n", "f", "comp"), "c")), "open")
+        if now.isEmpty():
+            return links
+        centre = store(_centres(now, width), "centres")
+        one, two = (x.select("cell", "c").join(sent, "c").alias(end) for x, end in ((now, "one"), (centre, "two")))
+        pairs = one.join(two, (F.col("one.cell") == F.col("two.cell")) & able).select(F.least("one.c", "two.c").alias("a"), F.greatest("one.c", "two.c").alias("b")).distinct()
+        pairs = store(pairs.join(read(spark, known), ["a", "b"], "left_anti"), "tested")
+        more = store(_confirmed(pairs, sets, percent), "links")
+        known, links = [*known, pairs], [*links, more]
+        rows = store(now.select("cell", "c").join(centre, ["cell", "c"], "left_anti"), "rows")
+        for old in (now, centre):
+            discard(old)
+        if not more.isEmpty():
+            between = more.join(facts.select(F.col("c").alias("a"), F.col("comp").alias("x")), "a").join(facts.select(F.col("c").alias("b"), F.col("comp").alias("y")), "b")
+            to = components(between.select("x", "y"), "x", "y").toDF("comp", "to")
+            facts = store(facts.join(to, "comp", "left").withColumn("comp", F.coalesce("to", "comp")).drop("to"), "facts")
+        width *= GROWTH
 
 
 def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", percent: int = PERCENT) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row of docs."""
+    spark = docs.sparkSession
     source = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
-    kind = source.schema["doc_id"].dataType.simpleString()
+    kind, key = source.schema["doc_id"].dataType.simpleString(), ["n", "f1", "f2"]
     sig = store(source.mapInArrow(_signed, f"doc_id {kind}, n bigint, f1 bigint, f2 bigint, left array<bigint>, right array<bigint>"), "signatures")
-    key = ["n", "f1", "f2"]
-    classes = store(sig.where("n > 0").groupBy(*key).agg(F.min("doc_id").alias("rep")), "classes")
-    reps = sig.join(classes.where("rep is not null").withColumnRenamed("rep", "doc_id"), ["doc_id", *key]).withColumnRenamed("doc_id", "rep")
-    reps = store(reps.select("rep", *key, "left", "right"), "reps")
-
-    # first sub-keys that more than one class has, then the combined keys of those classes
-    firsts = reps.select("rep", F.explode("left").alias("first"))
-    shared = firsts.groupBy("first").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("first")
-    mine = firsts.join(shared, "first").groupBy("rep").agg(F.collect_list("first").alias("firsts"))
-    cells = reps.select("rep", "right").join(mine, "rep").select("rep", F.explode("firsts").alias("first"), "right")
-    cells = store(cells.select("rep", F.explode(F.transform("right", lambda r: F.xxhash64(F.col("first"), r))).alias("cell")), "cells")
-    crowded = cells.groupBy("cell").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo < hi").select("cell")
-    met = cells.join(crowded, "cell").select("rep").distinct()
-
-    wanted = store(met.join(reps.select("rep", *key), "rep"), "wanted")
-    near = source.withColumnRenamed("doc_id", "rep").join(small(wanted.select("rep").distinct()), "rep", "left_semi")
-    sets = near.mapInArrow(_sets, f"rep {kind}, n bigint, f1 bigint, f2 bigint, members array<bigint>")
-    sets = store(sets.join(small(wanted), ["rep", *key], "left_semi").dropDuplicates(["rep", *key]).select("rep", "members"), "sets")
-    able = _shared_sizes(sets, percent)
-    rare, often = _rare(sets.join(small(able.select("rep")), "rep", "left_semi"))
-    tested = store(_rare_pairs(rare, able, reps, percent), "tested")
-    links = store(_confirmed(tested, sets, percent), "links")
-
-    rows = often.where(F.col("f") * 100 >= F.col("n") * percent).select("rep", "n", "f").join(mine, "rep")
-    rows = rows.select(F.explode("firsts").alias("cell"), "rep", "n", "f")
-    rows = _relabel(rows.withColumn("comp", F.col("rep")), links)
-    rows, width = store(_open(rows, percent), "open"), 0
-    while rows.limit(1).count():
-        # first every row against the best centre of all its cells, then against the centres of each cell
-        salt = F.pmod(F.xxhash64("rep", F.lit(width)), F.lit(max(width, 1)))
-        own = F.struct((F.col("n") - F.col("f")).alias("rare"), "rep", "n", "f", "comp")
-        centre = (_outside(rows) if width else rows).groupBy("cell", salt.alias("salt")).agg(F.min(own).alias("centre")).select("cell", "centre")
-        centre = store(centre, "centres")
-        fits = _enough(F.least("f", "centre.f"), F.col("n"), F.col("centre.n"), percent)
-        pairs = rows.join(centre, "cell").where((F.col("comp") != F.col("centre.comp")) & fits)
-        if width:
-            pairs = pairs.select("rep", F.col("centre.rep").alias("with"))
-        else:
-            pairs = pairs.groupBy("rep").agg(F.min("centre").alias("centre")).select("rep", F.col("centre.rep").alias("with"))
-        pairs = pairs.select(F.least("rep", "with").alias("a"), F.greatest("rep", "with").alias("b")).distinct()
-        pairs = store(_by_parts(pairs.join(tested, ["a", "b"], "left_anti"), often, percent), "bounded")
-        pairs = store(_meeting(pairs, reps), "tested")
-        more = store(_confirmed(pairs, sets, percent), "links")
-        links, tested = links.union(more), tested.union(pairs)
-        of = rows.select("rep", "comp").distinct()
-        between = more.join(of.toDF("a", "ca"), "a").join(of.toDF("b", "cb"), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b"))
-        if width:
-            rows = rows.join(centre.select("cell", F.col("centre.rep").alias("rep")), ["cell", "rep"], "left_anti")
-        rows = store(_open(_relabel(rows, store(between, "between")), percent), "open")
-        width = width * 8 or 1
-    label = components(links, "a", "b").toDF("rep", "component_id")
-
-    named = classes.join(label, "rep", "left").select(*key, F.coalesce("component_id", "rep").alias("component_id"))
+    classes = sig.where("n > 0").groupBy(*key).agg(F.min("doc_id").alias("rep"), F.any_value("left").alias("left"), F.any_value("right").alias("right"))
+    classes = store(classes.withColumn("c", F.monotonically_increasing_id()), "classes")
+
+    again = sig.where("n > 0").groupBy("doc_id").agg(F.count("*").alias("rows")).where("rows > 1 and doc_id is not null").select("doc_id")
+    texts = store(sig.join(small(store(again, "again")), "doc_id").join(classes.select("c", *key), key).select("doc_id", "c").distinct(), "texts")
+    own = texts.join(texts.groupBy("doc_id").agg(F.min("c").alias("b")), "doc_id").where("c <> b").select(F.col("c").alias("a"), "b")
+    # a star in each cell
+    cells = store(_cells(classes), "cells")
+    centre = cells.groupBy("cell").agg(F.min_by("c", F.xxhash64("c")).alias("centre"))
+    star = store(cells.join(centre, "cell").where("c <> centre"), "star")
+    discard(cells)
+    pairs = store(star.select(F.least("c", "centre").alias("a"), F.greatest("c", "centre").alias("b")).distinct(), "pairs")
+    met = pairs.select(F.explode(F.array("a", "b")).alias("c")).distinct()
+    sets = _sets_of(source, store(classes.select("c", "rep", *key).join(met, "c"), "met"))
+    sizes = small(sets.select("c", "n"))
+    sized = pairs.join(sizes.toDF("a", "na"), "a").join(sizes.toDF("b", "nb"), "b")
+    tested = store(sized.where(_fits(F.col("na"), F.col("nb"), percent)).select("a", "b"), "tested")
+    links = [store(_confirmed(tested, sets, percent), "links"), store(own, "links")]
+
+    # cells of several components: a member and the centre of its star are of two
+    comps = store(components(read(spark, links), "a", "b").toDF("c", "comp"), "components")
+    of = lambda end: small(comps).toDF(end, f"{end}_comp")
+    apart = pairs.join(of("a"), "a", "left").join(of("b"), "b", "left").where(F.coalesce("a_comp", "a") != F.coalesce("b_comp", "b")).select("a", "b")
+    apart = small(store(apart, "apart"))
+    mixed = star.join(apart, (F.least("c", "centre") == F.col("a")) & (F.greatest("c", "centre") == F.col("b")), "left_semi").select("cell").distinct()
+    rows = star.join(mixed, "cell", "left_semi")
+    rows = store(rows.select("cell", "c").union(rows.select("cell", "centre").distinct()), "rows")
+    discard(star)
+    if not rows.isEmpty():
+        rare, bounds = _bounds(sets.join(rows.select("c").distinct(), "c", "left_semi"), percent)
+        label = small(comps)
+        rare = rare.join(tested, ["a", "b"], "left_anti").join(label.toDF("a", "x"), "a", "left").join(label.toDF("b", "y"), "b", "left")
+        rare = store(rare.where(F.coalesce("x", "a") != F.coalesce("y", "b")).select("a", "b"), "tested")
+        links.append(store(_confirmed(rare, sets, percent), "links"))
+        comps = store(components(read(spark, links), "a", "b").toDF("c", "comp"), "components")
+        more = _proved(rows, comps, bounds, sets, [tested, rare], percent)
+        if more:
+            links += more
+            comps = components(read(spark, links), "a", "b").toDF("c", "comp")
+
+    # the smallest id of each component
+    named = classes.select("c", "rep", *key).join(comps, "c", "left").withColumn("comp", F.coalesce("comp", "c"))
+    first = named.groupBy("comp").agg(F.min("rep").alias("component_id"))
+    named = named.join(first, "comp").select(*key, "component_id")
     out = sig.select("doc_id", *key).join(named, key, "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
     return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 

@@ -111,6 +111,32 @@ def test_near_dedup_of_edited_copies(spark):
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dedup.near_duplicates(frame(spark, list(made.items()))).collect()} == want
 
 
+def test_near_dedup_of_a_group_just_below_the_similarity(spark):
+    rng = random.Random(8)
+    base = [f"b{i}" for i in range(200)]
+    made = {0: " ".join(base)}
+    for i in range(1, 500):
+        w = list(base)
+        for j in rng.sample(range(3, 195, 8), 6):
+            w[j] = f"e{rng.randrange(5)}"  # 30 of 196 shingles change, to ones that other texts have too
+        made[i] = " ".join(w)
+    want = near_dedup.brute_force(made)
+    one = {tuple(made[0].split()[j : j + 5]) for j in range(196)}
+    two = {tuple(made[1].split()[j : j + 5]) for j in range(196)}
+    assert 0.7 < len(one & two) / len(one | two) < 0.75 and len({c for _, c in want.values()}) > 50
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dedup.near_duplicates(frame(spark, list(made.items()))).collect()} == want
+
+
+def test_near_dedup_of_null_and_repeated_ids(spark):
+    words = [f"w{i}" for i in range(40)]
+    a, b = " ".join(words), " ".join([*words, "end"])
+    rows = [(None, a), (None, b), (5, "one two three four five six"), (5, a), (9, "one two three four five six")]
+    got = sorted(((r["doc_id"], r["n_shingles"], r["component_id"], r["kept"]) for r in near_dedup.near_duplicates(frame(spark, rows)).collect()), key=repr)
+    assert got == sorted([(None, 36, 5, False), (None, 37, 5, False), (5, 2, 5, True), (5, 36, 5, True), (9, 2, 5, False)], key=repr)
+    alone = near_dedup.near_duplicates(frame(spark, [(None, a), (None, b)])).collect()
+    assert [(r["component_id"], r["kept"]) for r in alone] == [(None, True)] * 2
+
+
 def test_token_counts(texts, docs, odd, empty):
     import public_tokenizers
     from tokenizers import Tokenizer
