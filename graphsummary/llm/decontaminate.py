@@ -1,15 +1,16 @@
 """Benchmark decontamination by template canonicalisation.
 
-Texts become template tokens: numbers, names and units turn into typed placeholders (neighbouring numbers or names make
-one), other words are lower-cased. Windows of template tokens of the documents are joined with those of the benchmark by
-hash. Matches of a document and an item on one alignment are put together; the pair is reported if they cover COVER
-tokens or the whole of a shorter item (but for one window), and the slots are consistent: each value of the item has one value in the
-document, where different values may become equal. So a question is also found after its numbers and names were changed throughout.
+Texts become template tokens: numbers, names and units turn into typed placeholders (neighbouring numbers or names of a
+sentence make one), other words are lower-cased. Windows of template tokens of the documents are joined with those of the
+benchmark by hash. Matches of a document and an item on one alignment are put together; the pair is reported if they cover
+COVER tokens or the whole of a shorter item, and the slots are consistent: each value of the item has one value in the
+document, where different values may become equal. So a question is also found after its numbers and names were changed
+throughout.
 
 A token is a run of letters and digits. A number starts with a digit. A unit is one of UNITS after a number. A name
-starts with a capital inside a sentence. Windows with fewer than LITERALS plain words are too common to find anything by:
-they count only on an alignment that another window has found. Items shorter than a window are one window of their own
-length.
+starts with a capital, also where it opens a sentence: whether an opening word is a name cannot be told, and a word that
+is none has the same value on both sides. Windows with fewer than LITERALS plain words (of a whole shorter item: SHORT)
+are too common to find anything by: they count only on an alignment that another window has found.
 
 Beside the templates stand literal windows: of case-folded words as they are, and of single code points in scripts without
 spaces. An item whose literal windows all stand in a document on one alignment is reported, whatever it is made of. Where
@@ -17,7 +18,8 @@ fewer than COVER + 1 - WINDOW of an item's template windows have LITERALS plain
 (POINTS if most of the tokens are single code points); so they are for all items of single code points.
 
 Null and empty texts match nothing. Rows that share a doc_id are one document; a null doc_id is a document too. Repeated
-items are reported for each item_id. An empty table on either side gives no rows.
+items are reported for each item_id. An empty table on either side gives no rows. Other columns are left out, whatever
+their names. A text is turned into arrays whole, about 30 bytes for each of its own; it is never cut.
 """
 
 from __future__ import annotations
@@ -32,7 +34,7 @@ from pyspark.sql import functions as F
 
 from graphsummary.llm.common import as_long, documents, hash_runs, lowered, mix, runs, slices, small, store
 
-WINDOW, LITERALS, COVER, POINTS = 8, 5, 13, 26
+WINDOW, LITERALS, SHORT, COVER, POINTS = 8, 3, 5, 13, 26
 #: Kinds of windows: templates with and without enough plain words, literal ones.
 DENSE, SPARSE, LITERAL = 0, 1, 2
 #: Bits of the filter of benchmark windows that documents are read against; its size does not depend on the data.
@@ -102,13 +104,13 @@ def templates(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nda
     opens |= head
     number = (first >= 48) & (first <= 57)
     upper = (first >= 65) & (first <= 90) | (first == 0xC3) & (second >= 0x80) & (second <= 0x9E)
-    name = upper & ~opens
+    name = upper.copy()
     after_number = np.zeros(n, bool)
     after_number[1:] = number[:-1] & ~head[1:]
     unit = after_number & (_UNIT_HASHES[np.minimum(np.searchsorted(_UNIT_HASHES, word), len(_UNIT_HASHES) - 1)] == word)
     name &= ~unit
     joins = np.zeros(n, bool)
-    joins[1:] = ~head[1:] & (number[1:] & number[:-1] | name[1:] & name[:-1])
+    joins[1:] = ~head[1:] & (number[1:] & number[:-1] | name[1:] & name[:-1] & ~opens[1:])
     begin = np.flatnonzero(~joins)
     value = np.add.reduceat(word * (np.arange(n, dtype=np.uint64) - np.repeat(begin, np.diff([*begin, n])).astype(np.uint64) + np.uint64(1)), begin)
     token = np.where(number, _NUM, np.where(name, _NAME, np.where(unit, _UNIT, word)))[begin]
@@ -129,7 +131,7 @@ def windows(token: np.ndarray, slot: np.ndarray | None, at: np.ndarray, length:
     kind = np.full(len(start), LITERAL, np.int8)
     if slot is not None:
         plain = np.concatenate([[0], np.cumsum(~slot)])
-        kind = np.where(plain[start + length] - plain[start] >= LITERALS, DENSE, SPARSE).astype(np.int8)
+        kind = np.where(plain[start + length] - plain[start] >= (LITERALS if length == WINDOW else SHORT), DENSE, SPARSE).astype(np.int8)
     return mix(h[start]), owner[start], start, kind
 
 
@@ -204,8 +206,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text:
     lined = lined.where(F.size(F.array_distinct(F.transform("slots", lambda s: s["i"]))) == F.size("slots"))
     number = lambda *kinds: F.countDistinct(F.when(F.col("kind").isin(*kinds), F.col("item_at")))
     whole = small(store(items.groupBy("item_id").agg(number(DENSE, SPARSE).alias("item_windows"), number(DENSE).alias("item_dense"), number(LITERAL).alias("item_literals"), F.max("points").alias("points")), "whole"))
-    # a text's first word may be a name on one side and open a sentence on the other: one window may differ
-    enough = F.col("n_windows") >= F.greatest(F.lit(1), F.least(F.col("item_windows") - 1, F.lit(COVER + 1) - F.col("length")))
+    enough = F.col("n_windows") >= F.greatest(F.lit(1), F.least(F.col("item_windows"), F.lit(COVER + 1) - F.col("length")))
     by_template = lined.join(whole, "item_id").where(enough).select("doc_id", "item_id", F.struct(F.lit(1).alias("template"), "n_windows", "item_windows", F.size("slots").alias("n_slots")).alias("m"))
     literal = of(found, LITERAL).join(small(of(items, LITERAL)), "h").select("doc_id", "item_id", shift, "item_at", "length")
     literal = literal.groupBy("doc_id", "item_id", "shift").agg(F.countDistinct("item_at").alias("n_windows"))
