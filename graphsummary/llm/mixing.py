@@ -7,7 +7,8 @@ one further pass over a part chosen by hash. The part is fixed for each size cla
 class misses or exceeds is made up for by the next smaller one.
 
 Null and empty texts have no words and are taken zero times. A null source is a source of its own. Repeated rows are
-separate documents that share their fate. An empty table gives no rows.
+separate documents that share their fate. An empty table gives no rows. A very long text is counted by one expression and
+never leaves Spark. Columns of docs named copies and taken are replaced; all others stay.
 """
 
 from __future__ import annotations
@@ -48,53 +49,82 @@ def fill_targets(sizes: dict, weights: dict, total: float, most: float) -> dict:
 def route(capacity: dict[tuple, int], quota: dict, passes: int) -> dict[tuple, dict]:
     """Words that each pattern (a tuple of sources) gives to each of its sources.
 
-    Shortest augmenting paths with node potentials; the arc from the origin to a pattern has `passes` parallel
-    copies of the pattern's size, with costs 0, 1, 2, ... Fills the quotas as far as the capacities reach.
+    A min-cost flow by phases: node potentials from shortest distances, then as much flow as all cheapest ways take
+    together, level by level. The arc from the origin to a pattern has `passes` parallel copies of the pattern's size,
+    with costs 0, 1, 2, ..., so there are few distances and few phases. Fills the quotas as far as the capacities reach.
     """
     patterns, sources = sorted(capacity), sorted(quota)
     node = {("p", p): i + 2 for i, p in enumerate(patterns)} | {("s", s): len(patterns) + i + 2 for i, s in enumerate(sources)}
-    n, arcs = len(node) + 2, []  # arc: to, room, cost; its reverse follows it
+    n, tiny = len(node) + 2, 1e-6
+    to: list[int] = []  # an arc's head, room and cost; its reverse follows it
+    room: list[float] = []
+    cost: list[int] = []
     near: list[list[int]] = [[] for _ in range(n)]
 
-    def add(a: int, b: int, room: float, cost: float) -> None:
-        for x, y, r, c in ((a, b, room, cost), (b, a, 0.0, -cost)):
-            near[x].append(len(arcs))
-            arcs.append([y, r, c])
+    def add(a: int, b: int, r: float, c: int) -> None:
+        for x, y, most, price in ((a, b, r, c), (b, a, 0.0, -c)):
+            near[x].append(len(to))
+            to.append(y)
+            room.append(most)
+            cost.append(price)
 
     for p in patterns:
         for r in range(passes):
-            add(0, node["p", p], float(capacity[p]), float(r))
+            add(0, node["p", p], float(capacity[p]), r)
         for s in p:
             if s in quota:
-                add(node["p", p], node["s", s], math.inf, 0.0)
+                add(node["p", p], node["s", s], math.inf, 0)
     for s in sources:
-        add(node["s", s], 1, float(quota[s]), 0.0)
-    height, tiny = [0.0] * n, 1e-6
+        add(node["s", s], 1, float(quota[s]), 0)
+    height = [0] * n
     while True:
-        dist, via, heap = [math.inf] * n, [-1] * n, [(0.0, 0)]
-        dist[0] = 0.0
+        dist, heap = [math.inf] * n, [(0, 0)]
+        dist[0] = 0
         while heap:
             d, a = heapq.heappop(heap)
             if d > dist[a]:
                 continue
             for k in near[a]:
-                b, room, cost = arcs[k]
-                if room > tiny and (e := d + cost + height[a] - height[b]) < dist[b] - 1e-12:
-                    dist[b], via[b] = e, k
-                    heapq.heappush(heap, (e, b))
+                if room[k] > tiny and (e := d + cost[k] + height[a] - height[to[k]]) < dist[to[k]]:
+                    dist[to[k]] = e
+                    heapq.heappush(heap, (e, to[k]))
         if dist[1] == math.inf:
             break
-        height = [h + (d if d < math.inf else dist[1]) for h, d in zip(height, dist, strict=True)]
-        path, at = [], 1
-        while at:
-            path.append(via[at])
-            at = arcs[via[at] ^ 1][0]
-        flow = min(arcs[k][1] for k in path)
-        for k in path:
-            arcs[k][1] -= flow
-            arcs[k ^ 1][1] += flow
-    name = {i: key for key, i in node.items()}
-    return {p: {name[arcs[k][0]][1]: arcs[k ^ 1][1] for k in near[node["p", p]] if arcs[k][1] == math.inf and k % 2 == 0} for p in patterns}
+        height = [h + min(d, dist[1]) for h, d in zip(height, dist, strict=True)]
+        free = lambda a, k: room[k] > tiny and cost[k] + height[a] == height[to[k]]
+        while True:  # all cheapest ways together
+            level, queue = {0: 0}, [0]
+            for a in queue:
+                for k in near[a]:
+                    if to[k] not in level and free(a, k):
+                        level[to[k]] = level[a] + 1
+                        queue.append(to[k])
+            if 1 not in level:
+                break
+            tried, path, at = [0] * n, [], 0
+            while True:
+                if at == 1:
+                    flow = min(room[k] for k in path)
+                    for k in path:
+                        room[k] -= flow
+                        room[k ^ 1] += flow
+                    first = next(i for i, k in enumerate(path) if room[k] <= tiny)  # the earliest arc that is full
+                    at = to[path[first] ^ 1]
+                    del path[first:]
+                elif tried[at] < len(near[at]):
+                    k = near[at][tried[at]]
+                    if level.get(to[k], -1) == level[at] + 1 and free(at, k):
+                        path.append(k)
+                        at = to[k]
+                    else:
+                        tried[at] += 1
+                elif path:
+                    at = to[path.pop() ^ 1]
+                    tried[at] += 1
+                else:
+                    break
+    source_of = {i: s for (kind, s), i in node.items() if kind == "s"}
+    return {p: {source_of[to[k]]: room[k ^ 1] for k in near[node["p", p]] if k % 2 == 0 and to[k] in source_of} for p in patterns}
 
 
 def _parts(group: pd.DataFrame) -> pd.DataFrame:
@@ -116,7 +146,7 @@ def mix(docs: DataFrame, quota: dict[str, float], memberships: Column, size: str
     memberships: array<string> of the sources that a document counts for. quota: words wanted from each source.
     """
     names = F.array_sort(F.array_distinct(F.coalesce(F.filter(memberships, lambda s: s.isNotNull()), F.array().cast("array<string>"))))
-    tagged = docs.withColumns({
+    tagged = docs.drop(*({"copies", "taken"} - {size, doc_id})).withColumns({
         "__pattern": F.to_json(names),
         "__class": F.when(F.col(size) > 0, F.floor(F.log2(F.col(size).cast("double"))).cast("int")).otherwise(-1),
         "__bucket": F.pmod(F.xxhash64(F.col(doc_id), F.lit(seed)), F.lit(BUCKETS)).cast("int"),
