@@ -8,10 +8,11 @@ Counting moves arrays, not rows: every worker turns a piece of the corpus (a chu
 their counts and sends each range of hashes as one compressed array; a range is summed in one place, and the totals go
 back in the order in which the chunk sent its hashes. The chunk's text, compressed, meets its totals and is scored.
 Chunks are numbered by partition and order, so the input has to be cut alike when it is read again, as a stored table is;
-a difference is noticed and raises.
+a difference is noticed, by a digest of each chunk's n-grams, and raises.
 
 A null text is the empty text: one token, the end. Without training documents every estimate is uniform. Repeated rows
-are scored (and counted) as separate documents. An empty table gives no rows.
+are scored (and counted) as separate documents. An empty table gives no rows. Other columns are left out, whatever their
+names. A text is never cut: one longer than a chunk is a chunk of its own and takes about 30 times its bytes in a worker.
 """
 
 from __future__ import annotations
@@ -26,15 +27,16 @@ from pyspark.sql import functions as F
 
 from graphsummary.llm.common import documents, fold_of, mix, slices, store, words
 
-#: Text in a chunk, and about the text whose n-grams meet in one range of hashes.
-CHUNK_BYTES, RANGE_BYTES, MOST_RANGES = 8 << 20, 4 << 20, 1 << 16
+#: Text in a chunk; and about the text whose n-grams meet in one range of hashes, at RANGE_AT bytes of input. A range grows
+#: with the square root of the input up to RANGE_MOST, what a worker can hold, so that the arrays exchanged grow as the input.
+CHUNK_BYTES, RANGE_BYTES, RANGE_MOST, RANGE_AT = 8 << 20, 4 << 20, 32 << 20, 512 << 20
 #: Roles: scored only, counted, counted and held out for the weights.
 OTHER, COUNTED, HELD = 0, 1, 2
 BUCKETS, LEVELS, STEPS = 42, 256, 60
 _END, _START = np.uint64(0x8A5CD789635D2DFF), np.uint64(0x121FD2155C472F96)
 _PAIR = np.uint64(0xD6E8FEB86659FD93)
 _GRAMS = "chunk string, part int, held boolean, rows int, hashes binary, counts binary"
-_TOTALS = "chunk string, part int, rows int, totals binary, types bigint, tokens bigint, rest_tokens bigint"
+_TOTALS = "chunk string, part int, rows int, digest bigint, totals binary, types bigint, tokens bigint, rest_tokens bigint"
 
 
 def packed(values: np.ndarray) -> bytes:
@@ -110,9 +112,15 @@ def _send(ranges: int):
     return run
 
 
+def digest(hashes: np.ndarray) -> int:
+    """A sum that differs for other hashes; those of parts add up to that of the whole, modulo 2 ** 64."""
+    return int(mix(hashes).view(np.int64).sum(dtype=np.int64))
+
+
 def _sum_range(table: pa.Table) -> pa.Table:
     rows = table.column("rows").to_pylist()
-    hashes = np.concatenate([np.cumsum(unpacked(h, n, np.uint64), dtype=np.uint64) for h, n in zip(table.column("hashes").to_pylist(), rows, strict=True)])
+    own = [np.cumsum(unpacked(h, n, np.uint64), dtype=np.uint64) for h, n in zip(table.column("hashes").to_pylist(), rows, strict=True)]
+    hashes, digests = np.concatenate(own), [digest(x) for x in own]
     counts = np.concatenate([unpacked(c, n, np.uint32) for c, n in zip(table.column("counts").to_pylist(), rows, strict=True)]).astype(np.int64)
     held = np.repeat(np.array(table.column("held").to_pylist(), bool), rows)
     found, at = np.unique(hashes, return_inverse=True)
@@ -125,7 +133,7 @@ def _sum_range(table: pa.Table) -> pa.Table:
     k, part = len(rows), table.column("part")[0].as_py()
     zero = [0] * k
     return pa.table({
-        "chunk": pa.array([*table.column("chunk").to_pylist(), None], pa.string()), "part": pa.array([part] * (k + 1), pa.int32()), "rows": pa.array([*rows, 0], pa.int32()), "totals": pa.array([*back, None], pa.binary()),
+        "chunk": pa.array([*table.column("chunk").to_pylist(), None], pa.string()), "part": pa.array([part] * (k + 1), pa.int32()), "rows": pa.array([*rows, 0], pa.int32()), "digest": pa.array([*digests, 0], pa.int64()), "totals": pa.array([*back, None], pa.binary()),
         "types": pa.array([*zero, int((single & (every > 0)).sum())], pa.int64()), "tokens": pa.array([*zero, int(every[single].sum())], pa.int64()), "rest_tokens": pa.array([*zero, int(rest[single].sum())], pa.int64()),
     })
 
@@ -150,7 +158,8 @@ def _counted(texts: pa.Table, totals: pa.Table):
     t, before, ends = tokens(data, offsets)
     found, _, own, pair, context = ngrams(t, before, np.zeros(len(t), bool))
     parts = sorted(zip(totals.column("part").to_pylist(), totals.column("rows").to_pylist(), totals.column("totals").to_pylist(), strict=True))
-    if sum(n for _, n, _ in parts) != len(found):
+    sent = np.array(totals.column("digest").to_pylist(), np.int64).sum(dtype=np.int64)
+    if sum(n for _, n, _ in parts) != len(found) or sent != digest(found):
         raise ValueError("the documents were cut differently when they were read again; store them first")
     counts = np.concatenate([unpacked(raw, 2 * n, np.uint64).reshape(-1, 2) for _, n, raw in parts]).astype(np.float64)
     return ends, counts[own], counts[pair], counts[context]
@@ -226,11 +235,12 @@ def score(docs: DataFrame, role: Column, doc_id: str = "doc_id", text: str = "te
     field = source.schema["doc_id"].dataType
     kind = field.simpleString()
     size = source.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    ranges = min(MOST_RANGES, 1 << max(0, int(np.ceil(np.log2(max(1, size / RANGE_BYTES))))))
+    per_range = min(max(RANGE_BYTES * (size / RANGE_AT) ** 0.5, RANGE_BYTES), RANGE_MOST)
+    ranges = 1 << max(0, int(np.ceil(np.log2(max(1, size / per_range)))))
     totals = store(source.mapInArrow(_send(ranges), _GRAMS).groupBy("part").applyInArrow(_sum_range, _TOTALS), "totals")
     sums = totals.agg(F.sum("types"), F.sum("tokens"), F.sum("rest_tokens")).first()
     types, total, rest = (int(x or 0) for x in sums)
-    back = totals.where("chunk is not null").select("chunk", "part", "rows", "totals").groupBy("chunk")
+    back = totals.where("chunk is not null").select("chunk", "part", "rows", "digest", "totals").groupBy("chunk")
     shape = f"chunk string, ids array<{kind}>, roles array<int>, offsets array<bigint>, raw binary"
     held = source.mapInArrow(_texts(True), shape).groupBy("chunk").cogroup(back).applyInArrow(_held_cells(rest), "cell bigint, n bigint")
     cells = held.groupBy("cell").agg(F.sum("n").alias("n")).toPandas()  # BUCKETS * LEVELS * LEVELS rows at most
