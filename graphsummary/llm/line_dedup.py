@@ -3,11 +3,15 @@
 The reference table holds for every line key the number of documents that contain it. Keys in at least `least`
 documents are frequent; their 16-bit fingerprints are in cuckoo filters, one per shard of keys. Adding or deleting
 documents adds to or takes from the table, and inserts into or deletes from the filters just the keys that cross the
-threshold. A key that is not frequent but passes a filter is found by passing the whole table through the filters; these
-few are sent along, so the lines that are dropped are exactly those of the table.
+threshold; a shard's filter that is full is built anew, larger, from the table, and with many more frequent keys all are
+dealt to more shards. Applied to any documents, the keys that pass a filter are looked up in the table, and those that
+are not frequent are sent along, so the lines that are dropped are exactly those of the table. Where filters or wrong keys
+are too large to send, lines meet the table in a join, but for the HOT most frequent keys, which are sent: no line that
+stands nearly everywhere meets in one task. Both ways give the same rows.
 
 A key is 128 bits of XXH3 of the stripped, lower-cased line. Null and empty texts have one empty line, which is never
-frequent. Repeated rows count as separate documents. An empty table gives no rows.
+frequent. Repeated rows count as separate documents. An empty table gives no rows. A very long text is split whole in one
+worker. Columns of docs named n_lines and n_dropped are replaced; all others stay.
 """
 
 from __future__ import annotations
@@ -27,6 +31,8 @@ SPACE = b" \t\n\x0b\x0c\r"
 SLOTS, KICKS = 4, 500
 #: Frequent keys for each shard, and the most bytes of filters that are sent to every executor.
 SHARD_KEYS, SENT_BYTES = 50_000, 64 << 20
+#: The most frequent keys that are sent to every executor where the others meet the table in a join.
+HOT = 100_000
 
 
 def line_keys(raw: bytes, least_chars: int) -> tuple[list[bytes], list[bytes]]:
@@ -144,20 +150,29 @@ class LineIndex:
     @classmethod
     def of(cls, docs: DataFrame, text: str = "text", least: int = 10, least_chars: int = 1) -> LineIndex:
         refs = store(reference_counts(docs, text, least_chars), "refs")
-        frequent = refs.where(F.col("docs") >= least)
-        shards = max(1, -(-frequent.count() // SHARD_KEYS))
-        filters = frequent.withColumn("shard", F.pmod("k1", F.lit(shards)).cast("int")).groupBy("shard").applyInPandas(_build_shard, "shard int, bits binary")
-        return cls(refs, store(filters, "filters"), shards, least, least_chars)
+        return cls._dealt(refs, least, least_chars)
+
+    @classmethod
+    def _dealt(cls, refs: DataFrame, least: int, least_chars: int) -> LineIndex:
+        """The index of a table, with as many shards as its frequent keys need."""
+        shards = max(1, -(-refs.where(F.col("docs") >= least).count() // SHARD_KEYS))
+        return cls(refs, store(_filters(refs, least, shards), "filters"), shards, least, least_chars)
 
     def changed(self, docs: DataFrame, text: str = "text", sign: int = 1) -> LineIndex:
         """The index after adding (sign 1) or deleting (sign -1) documents."""
         delta = reference_counts(docs, text, self.least_chars).withColumn("docs", F.col("docs") * sign)
-        now, least, shards = F.coalesce("docs", F.lit(0)), self.least, self.shards
-        both = self.refs.withColumnRenamed("docs", "old").join(delta, ["k1", "k2"], "full").select("k1", "k2", F.coalesce("old", F.lit(0)).alias("old"), (F.coalesce("old", F.lit(0)) + now).alias("docs"))
-        both = store(both, "refs")
+        least, shards = self.least, self.shards
+        both = self.refs.withColumnRenamed("docs", "old").join(delta, ["k1", "k2"], "full").select("k1", "k2", F.coalesce("old", F.lit(0)).alias("old"), (F.coalesce("old", F.lit(0)) + F.coalesce("docs", F.lit(0))).alias("docs"))
+        both = store(both, "changed")
+        refs = store(both.where("docs > 0").select("k1", "k2", "docs"), "refs")
+        if refs.where(F.col("docs") >= least).count() > 2 * SHARD_KEYS * shards:
+            return self._dealt(refs, least, self.least_chars)
         moved = both.where((F.col("old") >= least) != (F.col("docs") >= least)).select(F.pmod("k1", F.lit(shards)).cast("int").alias("shard"), "k1", "k2", (F.col("docs") >= least).alias("add"))
-        filters = self.filters.groupBy("shard").cogroup(moved.groupBy("shard")).applyInPandas(_update_shard, "shard int, bits binary")
-        return LineIndex(both.where("docs > 0").select("k1", "k2", "docs"), store(filters, "filters"), shards, least, self.least_chars)
+        made = store(self.filters.groupBy("shard").cogroup(moved.groupBy("shard")).applyInPandas(_update_shard, "shard int, bits binary"), "filters")
+        full = [r["shard"] for r in made.where("bits is null").select("shard").collect()]  # of the shards, not the keys
+        if full:
+            made = store(made.where("bits is not null").union(_filters(refs, least, shards, full)), "filters")
+        return LineIndex(refs, made, shards, least, self.least_chars)
 
     def add(self, docs: DataFrame, text: str = "text") -> LineIndex:
         return self.changed(docs, text, 1)
@@ -167,12 +182,13 @@ class LineIndex:
 
     def apply(self, docs: DataFrame, text: str = "text") -> DataFrame:
         """docs with frequent lines taken out of text, plus n_lines and n_dropped; every column stays."""
+        docs = docs.drop("n_lines", "n_dropped")
         size = self.filters.agg(F.sum(F.octet_length("bits"))).first()[0] or 0
         if size > SENT_BYTES:
             return self._apply_by_join(docs, text)
         held = self._sent()
-        passed = self.refs.where(F.col("docs") < self.least).mapInArrow(_passing(held), "k1 bigint, k2 bigint")
-        wrong = store(passed, "passing")
+        passed = docs.select(text).mapInArrow(_passing(held, self.least_chars), "k1 bigint, k2 bigint").distinct()
+        wrong = store(passed.join(self.refs.where(F.col("docs") >= self.least), ["k1", "k2"], "left_anti"), "passing")
         if wrong.count() > SENT_BYTES // 64:
             return self._apply_by_join(docs, text)
         exact = docs.sparkSession.sparkContext.broadcast({np.array([r[0], r[1]], np.int64).tobytes() for r in wrong.collect()})
@@ -182,10 +198,13 @@ class LineIndex:
         return self.refs.sparkSession.sparkContext.broadcast((self.shards, {r["shard"]: bytes(r["bits"]) for r in self.filters.collect()}))
 
     def _apply_by_join(self, docs: DataFrame, text: str) -> DataFrame:
-        """Where filters are too large to send: lines meet the frequent keys in a shuffle join."""
+        """Where filters are too large to send: lines meet the frequent keys in a join, the HOT most frequent ones a sent set."""
         rows = store(docs.withColumn("__row", F.expr("uuid()")), "rows")
-        lines = rows.select("__row", text).mapInArrow(_line_rows(self.least_chars), "row string, at int, k1 bigint, k2 bigint")
-        hits = lines.join(self.refs.where(F.col("docs") >= self.least), ["k1", "k2"], "left_semi").groupBy("row").agg(F.collect_list("at").alias("__drop"))
+        lines = store(rows.select("__row", text).mapInArrow(_line_rows(self.least_chars), "row string, at int, k1 bigint, k2 bigint"), "lines")
+        frequent = self.refs.where(F.col("docs") >= self.least)
+        hot = F.broadcast(store(frequent.orderBy(F.desc("docs"), "k1", "k2").limit(HOT).select("k1", "k2"), "hot"))
+        cold = lines.join(hot, ["k1", "k2"], "left_anti").join(frequent.join(hot, ["k1", "k2"], "left_anti"), ["k1", "k2"], "left_semi")
+        hits = lines.join(hot, ["k1", "k2"], "left_semi").union(cold).groupBy("row").agg(F.collect_list("at").alias("__drop"))
         both = rows.join(hits, F.col("__row") == F.col("row"), "left").drop("row")
         lines_of = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
         gone = F.coalesce("__drop", F.array().cast("array<int>"))
@@ -194,6 +213,12 @@ class LineIndex:
         return made.drop("__row", "__drop")
 
 
+def _filters(refs: DataFrame, least: int, shards: int, only: list[int] | None = None) -> DataFrame:
+    """(shard, bits): the filters of the table's frequent keys, of all shards or some."""
+    keys = refs.where(F.col("docs") >= least).withColumn("shard", F.pmod("k1", F.lit(shards)).cast("int"))
+    return (keys if only is None else keys.where(F.col("shard").isin(only))).groupBy("shard").applyInPandas(_build_shard, "shard int, bits binary")
+
+
 def _build_shard(pdf: pd.DataFrame) -> pd.DataFrame:
     made = build(pdf[["k1", "k2"]].to_numpy(np.int64), room=1024)
     return pd.DataFrame({"shard": [int(pdf["shard"].iloc[0])], "bits": [made.dumps()]})
@@ -205,9 +230,8 @@ def _update_shard(old: pd.DataFrame, moved: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame({"shard": [int(moved["shard"].iloc[0])], "bits": [build(k[add], room=1024).dumps()]})
     held = Cuckoo.loads(old["bits"].iloc[0])
     held.delete(k[~add])
-    if not held.insert(k[add]):
-        raise ValueError("a shard's filter is full; build the index again with LineIndex.of")
-    return pd.DataFrame({"shard": [int(old["shard"].iloc[0])], "bits": [held.dumps()]})
+    done = held.insert(k[add])  # a full filter is left out here and built anew
+    return pd.DataFrame({"shard": [int(old["shard"].iloc[0])], "bits": [held.dumps() if done else None]})
 
 
 def _lookup(sent: tuple[int, dict]):
@@ -224,11 +248,14 @@ def _lookup(sent: tuple[int, dict]):
     return has
 
 
-def _passing(held):
+def _passing(held, least_chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         has = _lookup(held.value)
         for batch in batches:
-            pairs = np.stack([batch.column(0).to_numpy(), batch.column(1).to_numpy()], 1)
+            data, offsets = buffers(batch.column(0))
+            raw = data.tobytes()
+            keys = list({k for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True) for k in line_keys(raw[a:b], least_chars)[1] if k})
+            pairs = as_pairs(keys)
             hit = pairs[has(pairs)]
             yield pa.RecordBatch.from_arrays([pa.array(hit[:, 0]), pa.array(hit[:, 1])], names=["k1", "k2"])
 
@@ -250,8 +277,8 @@ def _line_rows(least_chars: int):
 
 
 def _drop_lines(docs: DataFrame, text: str, held, exact, least_chars: int) -> DataFrame:
-    names = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
-    source = docs.select(*names)
+    names = docs.columns
+    source = docs
     at = names.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
