@@ -68,6 +68,46 @@ def test_exact_dedup(spark, sf, odd, empty):
     assert exact_dedup.exact_groups(empty).count() == 0
 
 
+def test_block_names_with_a_common_beginning(spark):
+    """Blocks, and pairs, with a common first part spread over all ranges; names say what texts are equal."""
+    head = "h" * 1000
+    texts = spark.range(100_000).select((F.col("id")).alias("row"), F.encode(F.concat(F.lit(head), (F.col("id") % 50_000).cast("string")), "utf-8").alias("raw"))
+    texts = texts.withColumn("n_bytes", F.octet_length("raw").cast("bigint"))
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")  # small partitions stay apart
+    for block in (2048, 500):
+        named = exact_dedup.block_names(texts, "raw", block)
+        assert named.count() == 100_000 and named.select("n_bytes", "name").distinct().count() == 50_000
+        per = [r["count"] for r in named.select("name").distinct().groupBy(F.shiftright("name", 33)).count().collect()]
+        assert len(per) >= 4 and max(per) < 2 * sum(per) / len(per)
+    spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    rows = [(None, "x" * 700), (None, "x" * 700), (1, "x" * 700), (1, "y" * 700), (2, "y" * 700), (3, "z")]
+    got = Counter((r["doc_id"], r["keep_id"], r["group_size"]) for r in exact_dedup.exact_groups(frame(spark, rows), block=64).collect())
+    assert got == {(None, 1, 3): 2, (1, 1, 3): 1, (1, 2, 2): 1, (2, 2, 2): 1, (3, 3, 1): 1}
+
+
+def test_flow_is_optimal_and_sources_overlap(spark):
+    import itertools
+
+    def total(capacity, flow):
+        given = {p: sum(to.values()) for p, to in flow.items()}
+        return round(sum(given.values()), 4), round(sum(r * min(max(x - r * capacity[p], 0), capacity[p]) for p, x in given.items() for r in range(3)), 4)
+
+    def best(capacity, quota):
+        shares = [[dict(zip(p, v, strict=True)) for v in itertools.product(range(3 * capacity[p] + 1), repeat=len(p)) if sum(v) <= 3 * capacity[p]] for p in capacity]
+        fits = [dict(zip(capacity, c, strict=True)) for c in itertools.product(*shares) if all(sum(g.get(s, 0) for g in c) <= q for s, q in quota.items())]
+        return min((total(capacity, f) for f in fits), key=lambda x: (-x[0], x[1]))
+
+    rng = random.Random(2)
+    for _ in range(12):
+        capacity, quota = {p: rng.randint(1, 2) for p in (("a",), ("b",), ("a", "b"))}, {s: rng.randint(0, 8) for s in "ab"}
+        flow = mixing.route(capacity, quota, 3)
+        assert total(capacity, flow) == best(capacity, quota)
+    docs = spark.range(20_000).select("id", F.lit(10).alias("n"), F.when(F.col("id") % 4 == 0, F.array(F.lit("a"))).when(F.col("id") % 4 == 1, F.array(F.lit("b"))).otherwise(F.array(F.lit("a"), F.lit("b"))).alias("of"))
+    made = mixing.mix(docs, {"a": 120_000.0, "b": 30_000.0}, F.col("of"), "n", doc_id="id").groupBy("of").agg(F.sum("taken").alias("taken")).collect()
+    got = {tuple(r["of"]): r["taken"] for r in made}
+    assert sum(got.values()) == pytest.approx(150_000, rel=0.01) and got["b",] <= 30_500 and got["a",] >= 49_500  # every word once before any twice
+
+
 def test_mixing(spark, sf, odd, empty):
     rows = mixing.op3_mixing(spark, sf).collect()
     source = {r["doc_id"]: r["source"] for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
@@ -149,6 +189,9 @@ def test_token_counts(texts, docs, odd, empty):
     count = token_counts.Counter(token_counts.Ranks.read(path))
     for x in ("a" * 5000, "!!!! ~~" * 300, "  \n\n  x  ", "<|endoftext|>hi<|endoftext|>", "é 你好 \U0001f600\x1c\x1d \x85 it's I'LL 12345", "ababababab" * 50):
         assert count([x]) == [real(x)]
+    rng = random.Random(9)
+    for x in ("".join(rng.choices("acgt", k=80_000)), "".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=20_000)), "ab" * 3000, "a" * 9001):
+        assert count([x]) == [real(x)]
     assert token_counts.count_tokens(empty, path).count() == 0
 
 
@@ -205,6 +248,27 @@ def test_line_dedup(spark, sf, odd, empty):
     assert line_dedup.LineIndex.of(odd).apply(odd).count() == 10 and line_dedup.LineIndex.of(empty).apply(empty).count() == 0
 
 
+def test_line_index_grows_and_verifies(spark):
+    docs = lambda ids, lines: frame(spark, [(i, "\n".join(lines)) for i in ids])
+    index = line_dedup.LineIndex.of(docs(range(10), ["common"]))
+    many = docs(range(20, 30), [f"line {i}" for i in range(3000)])  # more than the shard's slots
+    grown = index.add(many)
+    assert {(r["n_dropped"], r["text"]) for r in grown.apply(many).collect()} == {(3000, "")}
+    back = grown.delete(many)
+    assert sorted(map(tuple, back.refs.collect())) == sorted(map(tuple, index.refs.collect()))
+    other = docs([1], [f"single {i}" for i in range(200_000)])  # not in the index: what passes by chance stays
+    assert [r["n_dropped"] for r in grown.apply(other).collect()] == [0]
+    assert [r["n_dropped"] for r in grown._apply_by_join(docs([1], ["common", "Line 5 ", "own"]), "text").collect()] == [2]
+
+
+def test_line_dedup_against_plain_counts(spark, texts, docs):
+    key = lambda x: x.strip(" \t\n\v\f\r").translate({c: c + 32 for c in range(65, 91)})
+    held = Counter(k for t in texts.values() for k in {key(x) for x in (t or "").split("\n")} if k)
+    want = {i: "\n".join(x for x in (t or "").split("\n") if held[key(x)] < 10) for i, t in texts.items()}
+    got = line_dedup.LineIndex.of(docs).apply(docs)
+    assert {r["doc_id"]: r["text"] or "" for r in got.collect()} == want
+
+
 def test_cuckoo_filter():
     k = np.random.default_rng(1).integers(-(2**62), 2**62, (5000, 2))
     f = line_dedup.build(k)
@@ -268,6 +332,34 @@ def test_decontaminate_values_that_become_equal_and_merged_names(spark):
     assert {(r["doc_id"], r["item_id"]) for r in decontaminate.matches(frame(spark, list(cases.items())), one).collect()} == {(1, 1), (2, 2)}
 
 
+def _questions(rng, n):
+    """Questions and the same with other names and numbers throughout."""
+    names, other = ["Tom", "Bob", "Ann", "Eva", "Natalia", "Jorge", "Wei"], ["Lea", "Max", "Ida", "Sam", "Olga", "Piet", "Noor"]
+    things = ["apples", "pears", "red clips", "stamps", "old coins", "marbles", "pencils", "blue shells", "tickets", "cards"]
+    shapes = [
+        "{a} has {x} {t}. {b} has {y} {t} more than {a}. How many {t} do {a} and {b} have together?",
+        "{a} has {x} {t}. {a} sold {y} {t}. {a} found {z} {u}. {a} lost some {u}. What is left?",
+        "{a} bought {x} {t} and {y} {u}. {b} bought {z} {t}. Who bought more {t}, {a} or {b}, and by how much?",
+        "In {x} days {a} makes {y} {t} and {b} makes {z} {u}; how many {t} and {u} do they make in {x} weeks?",
+        "{a} gave {b} {x} {t}. {b} gave {a} {y} {u}. {a} kept {z} {u}. {b} kept the rest. How many {t} has {b}?",
+    ]
+    for i in range(n):
+        t, u = rng.sample(things, 2)
+        first, second = rng.sample(names, 2), rng.sample(other, 2)
+        numbers = [rng.sample(range(2, 400), 3) for _ in range(2)]
+        made = [shapes[i % 5].format(a=w[0], b=w[1], x=m[0], y=m[1], z=m[2], t=t, u=u) for w, m in zip((first, second), numbers, strict=True)]
+        yield i, made[0], made[1]
+
+
+def test_decontaminate_recall_of_changed_questions(spark):
+    made = list(_questions(random.Random(4), 250))
+    bench = spark.createDataFrame([(i, q) for i, q, _ in made], "item_id bigint, text string")
+    docs = frame(spark, [(i, f"Here is an exercise from our notes:\n{c} Think about it first.") for i, _, c in made] + [(1000 + i, f"{' '.join(q.split()[:6])}. Then they all went home and slept.") for i, q, _ in made])
+    found = {(r["doc_id"], r["item_id"]) for r in decontaminate.matches(docs, bench).collect()}
+    assert sum((i, i) in found for i, _, _ in made) >= 0.9 * len(made)
+    assert not {d for d, _ in found if d >= 1000}  # a first sentence alone is no copy
+
+
 def test_pipeline(spark, sf, docs, texts):
     import corpus_pipeline
 
@@ -282,3 +374,24 @@ def test_pipeline(spark, sf, docs, texts):
             body = {r["doc_id"]: r["text"] for r in now.collect()}
             assert ids == {i for i, (_, top) in near_dedup.brute_force(body).items() if i == top}
         now, kept = after, ids
+
+
+def test_pipeline_of_null_ids_repeated_rows_and_empty_tables(spark, tmp_path):
+    import corpus_pipeline
+
+    item = "A shop sold 48 red clips to its friend Natalia in April, and then half as many in May; how many clips did Natalia buy altogether?"
+    spark.createDataFrame([(1, item)], "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    prose = " ".join(f"word{i}" for i in range(60))
+    rows = [(1, f"{prose} one"), (None, f"{prose} two"), (2, "quite another text about rivers and hills"), (2, "quite another text about rivers and hills"), (None, f"Again: {item} So it goes."), (3, f"Now: {item} That is all."), (None, "a text of its own with a null id that has to stay here"), (None, None), (4, ""), (5, " 12 ")]
+    docs = frame(spark, rows)  # with columns whose names clash
+    stages = dict(corpus_pipeline.STAGES)
+    say = lambda df: sorted(((r["doc_id"], (r["text"] or "")[-8:]) for r in df.collect()), key=repr)
+    kept = say(stages["near-duplicate removal"](spark, docs, str(tmp_path)))
+    assert (None, "word5 two"[-8:]) not in [(i, t) for i, t in kept] and (1, f"{prose} one"[-8:]) in kept and sum(i is None for i, _ in kept) == 3
+    kept = say(stages["benchmark decontamination"](spark, docs, str(tmp_path)))
+    assert [i for i, _ in kept].count(None) == 3 and 3 not in [i for i, _ in kept] and [i for i, _ in kept].count(2) == 2
+    now, nothing = docs, docs.limit(0)
+    for name, stage in corpus_pipeline.STAGES:
+        now = corpus_pipeline.store(stage(spark, now, str(tmp_path)), "stage")
+        assert corpus_pipeline.store(stage(spark, nothing, str(tmp_path)), "empty").count() == 0
+    assert now.columns[:5] == list(corpus_pipeline.COLUMNS)
