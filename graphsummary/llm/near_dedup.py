@@ -8,14 +8,14 @@ are candidates; a link is confirmed on the full sets. At the least similarity of
 0.75 ** 4, and a pair misses all 784 tables with probability below 5e-5; no cell or number of partners is capped. Keys are
 only combined from sub-keys that another class has too, which loses no equal key.
 
-The members of a cell are compared with one of them (a star), what is linked is contracted, and only cells that still
-hold several components go on. There, exact bounds come before any pair is made: shingles that at most RARE open classes
-have list their pairs (a bounded number each); all other pairs can have frequent shingles only in common, and a class
-whose frequent shingles cannot reach the similarity leaves its cells. In rounds, members outside a cell's largest
-component become centres, GROWTH times as many each time; the join itself rules out pairs of one component, of sizes that
-do not fit, and those that could not be similar enough if each of PARTS parts of the hash space had the smaller number of
-shingles in common. Every pair of a cell is confirmed, ruled out by a bound or inside one component in the end. A cell is
-one pair of sub-keys; the joins on it can be split by Spark where a cell is hot, and nothing is gathered in one task.
+The members of a cell are compared with one of them (a star), and what is linked is contracted. Then the cells of a first
+sub-key are put together, and only those that hold several components go on. There, exact bounds come before any pair is
+made: shingles that at most RARE open classes have list their pairs (a bounded number each); all other pairs can have
+frequent shingles only in common, and a class whose frequent shingles cannot reach the similarity leaves. In rounds,
+members outside a cell's largest component become centres, GROWTH times as many each time; the join itself rules out pairs
+of one component, of sizes that do not fit, and those that could not be similar enough if each of PARTS parts of the hash
+space had the smaller number of shingles in common. Every pair of a cell is confirmed, ruled out by a bound or inside one
+component in the end. The joins can be split by Spark where a cell is hot, and nothing is gathered in one task.
 
 Null and empty texts, and texts without words, have the empty set, are linked with nothing and stay. Rows that share a
 doc_id are one document with several texts: each row keeps its own n_shingles and they share a component. A null
@@ -134,12 +134,12 @@ def _shared(keys: DataFrame) -> DataFrame:
     return keys.join(twice, "x").groupBy("c").agg(F.collect_list("x").alias("keys"))  # SUB keys at most
 
 
-def _cells(classes: DataFrame) -> DataFrame:
-    """(cell, c): the table keys that can be equal to another class's."""
+def _cells(classes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(cell, c): the table keys that can be equal to another class's; and (c, lefts): their first sub-keys."""
     left = store(_shared(classes.select("c", F.explode("left").alias("x"))).withColumnRenamed("keys", "lefts"), "lefts")
     right = _shared(classes.join(left.select("c"), "c").select("c", F.explode("right").alias("x"))).withColumnRenamed("keys", "rights")
     both = left.join(right, "c").select("c", F.explode("lefts").alias("first"), "rights")
-    return both.select(F.explode(F.transform("rights", lambda r: F.xxhash64("first", r))).alias("cell"), "c")
+    return both.select(F.explode(F.transform("rights", lambda r: F.xxhash64("first", r))).alias("cell"), "c"), left
 
 
 def _fits(one, two, percent: int):
@@ -246,38 +246,36 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     texts = store(sig.join(small(store(again, "again")), "doc_id").join(classes.select("c", *key), key).select("doc_id", "c").distinct(), "texts")
     own = texts.join(texts.groupBy("doc_id").agg(F.min("c").alias("b")), "doc_id").where("c <> b").select(F.col("c").alias("a"), "b")
     # a star in each cell
-    cells = store(_cells(classes), "cells")
+    cells, lefts = _cells(classes)
+    cells = store(cells, "cells")
     centre = cells.groupBy("cell").agg(F.min_by("c", F.xxhash64("c")).alias("centre"))
-    star = store(cells.join(centre, "cell").where("c <> centre"), "star")
+    pairs = cells.join(centre, "cell").where("c <> centre").select(F.least("c", "centre").alias("a"), F.greatest("c", "centre").alias("b"))
+    pairs = store(pairs.distinct(), "pairs")
     discard(cells)
-    pairs = store(star.select(F.least("c", "centre").alias("a"), F.greatest("c", "centre").alias("b")).distinct(), "pairs")
     met = pairs.select(F.explode(F.array("a", "b")).alias("c")).distinct()
-    sets = _sets_of(source, store(classes.select("c", "rep", *key).join(met, "c"), "met"))
+    met = store(classes.select("c", "rep", *key).join(met, "c"), "met")
+    sets = _sets_of(source, met)
     sizes = small(sets.select("c", "n"))
     sized = pairs.join(sizes.toDF("a", "na"), "a").join(sizes.toDF("b", "nb"), "b")
     tested = store(sized.where(_fits(F.col("na"), F.col("nb"), percent)).select("a", "b"), "tested")
     links = [store(_confirmed(tested, sets, percent), "links"), store(own, "links")]
 
-    # cells of several components: a member and the centre of its star are of two
+    # the cells of a first sub-key together, where they hold several components
     comps = store(components(read(spark, links), "a", "b").toDF("c", "comp"), "components")
-    of = lambda end: small(comps).toDF(end, f"{end}_comp")
-    apart = pairs.join(of("a"), "a", "left").join(of("b"), "b", "left").where(F.coalesce("a_comp", "a") != F.coalesce("b_comp", "b")).select("a", "b")
-    apart = small(store(apart, "apart"))
-    mixed = star.join(apart, (F.least("c", "centre") == F.col("a")) & (F.greatest("c", "centre") == F.col("b")), "left_semi").select("cell").distinct()
-    rows = star.join(mixed, "cell", "left_semi")
-    rows = store(rows.select("cell", "c").union(rows.select("cell", "centre").distinct()), "rows")
-    discard(star)
+    label = small(comps)
+    rows = lefts.join(small(met.select("c")), "c").join(label, "c", "left")
+    rows = store(_several(rows.select(F.explode("lefts").alias("cell"), "c", F.coalesce("comp", "c").alias("comp"))).select("cell", "c"), "rows")
     if not rows.isEmpty():
         rare, bounds = _bounds(sets.join(rows.select("c").distinct(), "c", "left_semi"), percent)
-        label = small(comps)
         rare = rare.join(tested, ["a", "b"], "left_anti").join(label.toDF("a", "x"), "a", "left").join(label.toDF("b", "y"), "b", "left")
         rare = store(rare.where(F.coalesce("x", "a") != F.coalesce("y", "b")).select("a", "b"), "tested")
         links.append(store(_confirmed(rare, sets, percent), "links"))
         comps = store(components(read(spark, links), "a", "b").toDF("c", "comp"), "components")
         more = _proved(rows, comps, bounds, sets, [tested, rare], percent)
         if more:
-            links += more
-            comps = components(read(spark, links), "a", "b").toDF("c", "comp")
+            comps = components(read(spark, [*links, *more]), "a", "b").toDF("c", "comp")
+    for old in (pairs, lefts, met, sets):
+        discard(old)
 
     # the smallest id of each component
     named = classes.select("c", "rep", *key).join(comps, "c", "left").withColumn("comp", F.coalesce("comp", "c"))
