@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from graphsummary.operators.order import numbered, running, tile
+from graphsummary.sources.storage import store
+
 # fixed values: colour names from small to large communities, with the hex values of a qualitative scheme
 PALETTE = (
     ("brown", "#b15928"), ("light purple", "#cab2d6"), ("purple", "#6a3d9a"), ("light orange", "#fdbf6f"), ("orange", "#ff7f00"), ("light red", "#fb9a99"),
@@ -26,28 +29,30 @@ def radius(supernodes: DataFrame, scale: float = 1.0, size: str = "size") -> Dat
 def qualitative(sizes: DataFrame, tail_share: float = 0.5, bands: str = "equal_count", key: str = "community", size: str = "size") -> DataFrame:
     """(key, size, band, name, hex). Band 0 is the tail: the smallest communities as long as their sizes sum to at most
     tail_share of all (the one that crosses it is not in). The rest are cut into ten bands from small to large."""
-    order = Window.orderBy(F.col(size), F.col(key))
-    total = sizes.agg(F.sum(size).alias("t")).scalar()
-    run = sizes.select(key, size, F.sum(size).over(order).alias("run")).withColumn("tail", F.col("run") <= tail_share * total)
-    rest = Window.partitionBy("tail").orderBy(F.col(size), F.col(key))
+    run = store(running(sizes.select(key, size), [F.col(size), F.col(key)], run=F.col(size).cast("bigint"), number=F.lit(1).cast("bigint")), "run")
+    total = run.agg(F.max("run")).first()[0] or 0
+    run = run.withColumn("tail", F.col("run") <= tail_share * total)
+    in_tail = run.where("tail").agg(F.count("*").alias("n"), F.coalesce(F.max("run"), F.lit(0)).alias("size")).first()
+    rest = run.where("not tail").agg(F.count("*").alias("n"), F.min(F.log2(F.col(size).cast("double"))).alias("low"), F.max(F.log2(F.col(size).cast("double"))).alias("high")).first()
     if bands == "equal_count":
-        band = F.ntile(BANDS).over(rest)
-    elif bands == "equal_weight":
-        whole = F.sum(size).over(Window.partitionBy("tail"))
-        band = F.least(F.floor(F.lit(BANDS) * (F.sum(size).over(rest) - F.col(size)) / whole) + 1, F.lit(BANDS))
+        band = tile(F.col("number") - in_tail["n"], F.lit(rest["n"]), BANDS)
+    elif bands == "equal_weight":  # the tail comes first in the same order
+        band = F.least(F.floor(F.lit(BANDS) * (F.col("run") - in_tail["size"] - F.col(size)) / F.lit(max(total - in_tail["size"], 1))) + 1, F.lit(BANDS))
+    elif rest["n"] and rest["high"] > rest["low"]:
+        band = F.least(F.floor(F.lit(BANDS) * (F.log2(F.col(size).cast("double")) - rest["low"]) / (rest["high"] - rest["low"])) + 1, F.lit(BANDS))
     else:
-        low, high = (f(F.log2(F.col(size).cast("double"))).over(Window.partitionBy("tail")) for f in (F.min, F.max))
-        band = F.when(high > low, F.least(F.floor(F.lit(BANDS) * (F.log2(F.col(size).cast("double")) - low) / (high - low)) + 1, F.lit(BANDS))).otherwise(F.lit(1))
+        band = F.lit(1)
     made = run.withColumn("band", F.when(F.col("tail"), F.lit(0)).otherwise(band).cast("int"))
     return made.join(F.broadcast(palette(sizes.sparkSession)), "band").select(key, size, "band", "name", "hex")
 
 
 def sequential(sizes: DataFrame, steps: int = 9, key: str = "community", size: str = "size") -> DataFrame:
     """(key, size, shade, hex): shade 1 is the lightest, the largest communities get the darkest."""
-    shade = F.ntile(steps).over(Window.orderBy(F.col(size), F.col(key)))
+    rows = store(numbered(sizes.select(key, size), [F.col(size), F.col(key)], "number"), "numbered")
+    shade = tile(F.col("number"), F.lit(rows.count()), steps).cast("int")
     level = (F.lit(230) - F.floor((F.col("shade") - 1) * 210 / max(1, steps - 1))).cast("int")
     hex_ = F.concat(F.lit("#"), *[F.lpad(F.lower(F.hex(level)), 2, "0")] * 2, F.lit("ff"))
-    return sizes.select(key, size, shade.alias("shade")).withColumn("hex", hex_)
+    return rows.select(key, size, shade.alias("shade")).withColumn("hex", hex_)
 
 
 def stylise(layout: DataFrame, assignment: DataFrame, colours: DataFrame) -> DataFrame:

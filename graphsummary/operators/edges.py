@@ -1,14 +1,16 @@
 """Edge lists: canonical form, arrival order, degrees and the base cap.
 
-An edge list has the columns seq, src, dst, w. seq orders the stream; it is a dense number at test scale and a composite
-key (hash, src, dst) beyond it, since a global row number would pass all rows through one task.
+An edge list has the columns seq, src, dst, w. seq orders the stream: a dense number, dealt by ranges of the order so that
+no task sees all rows, or a composite key (hash, src, dst), which needs no pass of its own.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from graphsummary.operators.order import numbered
+
 #: Fixed values of the arrival hash; the same expression stands in the SQL forms.
 ARRIVAL_A, ARRIVAL_B, ARRIVAL_MOD = 7919, 104729, 1000003
 
@@ -39,10 +41,11 @@ def arrival_hash(src: str = "src", dst: str = "dst", seed: int = 0) -> Column:
 
 
 def with_arrival(edges: DataFrame, order: str = "hash", seed: int = 0, dense: bool = True, by: str | None = None) -> DataFrame:
-    """Add seq. order: 'hash' (seeded shuffle), 'time' or 'given' (the column named by). dense=False keeps a composite key."""
+    """Add seq. order: 'hash' (seeded shuffle), 'time' or 'given' (the column named by). dense=False keeps a composite key, which needs no pass
+    of its own; a dense number comes from ranges of the order, in parallel."""
     keys = [arrival_hash(seed=seed), F.col("src"), F.col("dst")] if order == "hash" else [F.col(by), F.col("src"), F.col("dst")]
     if dense:
-        return edges.withColumn("seq", F.row_number().over(Window.orderBy(*keys)).cast("bigint"))
+        return numbered(edges, keys, "seq")
     return edges.withColumn("seq", F.struct(*[k.alias(f"k{i}") for i, k in enumerate(keys)]))
 
 

@@ -4,9 +4,11 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from graphsummary.operators.order import running
+
 
 # ---------------------------------------------------------------- communities and edges
 def labelled(edges: DataFrame, assignment: DataFrame) -> DataFrame:
@@ -122,11 +124,14 @@ def scatter(layout: DataFrame, assignment: DataFrame) -> DataFrame:
 
 def rank_corr(df: DataFrame, a: str, b: str) -> DataFrame:
     """(rho): correlation of ranks; ties share the mean rank."""
-    def mean_rank(c: str) -> Column:
-        same = Window.partitionBy(c)
-        return F.rank().over(Window.orderBy(c)) + (F.count("*").over(same) - 1) / 2
-
-    return df.select(mean_rank(a).alias("ra"), mean_rank(b).alias("rb")).agg(F.corr("ra", "rb").alias("rho"))
+    def mean_ranks(c: str, name: str) -> DataFrame:
+        """(c, name) for each value: the running count of rows up to it, less half of its own beyond one."""
+        per = running(df.groupBy(c).agg(F.count("*").alias("n")), [F.col(c)], run=F.col("n"))
+        return per.select(c, (F.col("run") - (F.col("n") - 1) / 2).alias(name))
+
+    ranks = lambda c, name: mean_ranks(c, name).withColumnRenamed(c, f"__{name}")
+    both = df.join(ranks(a, "ra"), F.col(a).eqNullSafe(F.col("__ra"))).join(ranks(b, "rb"), F.col(b).eqNullSafe(F.col("__rb")))
+    return both.agg(F.corr("ra", "rb").alias("rho"))
 
 
 # ---------------------------------------------------------------- known groups

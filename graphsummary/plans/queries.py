@@ -17,6 +17,7 @@ from graphsummary.params import Params
 from graphsummary.plans import case, pipeline
 from graphsummary.sources import catalogue as g
 from graphsummary.sources import readers
+from graphsummary.operators.order import numbered
 from graphsummary.sources.storage import shared_dir, store
 from graphsummary.streaming import attach, windows
 
@@ -650,7 +651,7 @@ def streaming_detect(s, d):
     import uuid
 
     base = f"{shared_dir(s)}/stream-{uuid.uuid4().hex}"
-    rows = store(windows.edges_of_events(g.table(s, d, "events")).withColumn("seq", F.row_number().over(Window.orderBy("ts", "src", "dst"))).select("seq", "src", "dst").repartition(3), "stream")
+    rows = store(numbered(windows.edges_of_events(g.table(s, d, "events")), [F.col("ts"), F.col("src"), F.col("dst")], "seq").select("seq", "src", "dst").repartition(3), "stream")
     detector = attach.Detector(s, f"{base}/state", 20)
     flow = s.readStream.schema(rows.schema).option("maxFilesPerTrigger", 2).parquet(rows._stored_at)
     attach.attach(flow, detector, f"{base}/checkpoint").awaitTermination()

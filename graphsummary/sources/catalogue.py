@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from graphsummary.operators.edges import canonical, with_arrival
+from graphsummary.operators.order import with_next
 
 SECOND, PARTS = 10_000_000, 1_000_000_000  # offsets of the second side of bipartite graphs
 GROUPS = 15
@@ -50,9 +51,9 @@ def cust_supp(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def user_next_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(src, dst): the user of each event and of the next one. One ordered pass over the narrow event columns."""
+    """(src, dst): the user of each event and of the next one, by ranges of the order over the narrow event columns."""
     e = table(spark, sf_dir, "events").select("ts", "event_id", "user_id")
-    return e.select(F.col("user_id").alias("src"), F.lead("user_id").over(Window.orderBy("ts", "event_id")).alias("dst")).where("dst is not null")
+    return with_next(e, [F.col("ts"), F.col("event_id")], "user_id", "dst").select(F.col("user_id").alias("src"), "dst").where("dst is not null")
 
 
 def user_next(spark: SparkSession, sf_dir: str) -> DataFrame:
