@@ -54,10 +54,15 @@ def summarise(edges: DataFrame, params: Params | None = None, **options) -> Summ
     p = params or Params(**options)
     clock, times = time.perf_counter(), {}
     edges = store(edges, "edges")
+    mark = lambda name, since: times.__setitem__(name, 1000 * (time.perf_counter() - since)) or time.perf_counter()
+    begun = time.perf_counter()
     found = detect(edges, p)
+    begun = mark("detection_ms", begun)
     supernodes, superedges, figures = merge(edges, found, p)
     times["supergraph_ms"] = 1000 * (time.perf_counter() - clock)
+    begun = mark("merge_ms", begun)
     placed, trace = lay_out(supernodes, superedges, p)
+    mark("layout_ms", begun)
     colours = draw.qualitative(supernodes, p.tail_share, p.bands)
     drawing = placed.select("node", "x", "y").join(draw.radius(supernodes), F.col("node") == F.col("community")).drop("community")
     drawing = store(drawing.join(colours.select(F.col("community").alias("node"), "band", "hex"), "node"), "drawing")

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from graphsummary.operators import baselines, detect, draw, edges, measure, rounds, sketch, summary
 from graphsummary.params import Params
-from graphsummary.plans import case, oracles, pipeline
+from graphsummary.plans import case, oracles, pipeline, stages
 from graphsummary.plans import queries as q
 from graphsummary.sources import catalogue as g
 from graphsummary.sources.storage import store
@@ -431,10 +431,20 @@ def w11_stability(s, d):
     return w11(s, d, ("doc_hub",))
 
 
+def w7_found(s, d):
+    """The found communities against the planted groups, each figure measured on the run's own communities."""
+    return w7(s, d)
+
+
+def stage_metrics(s, d):
+    """Memory, spill and shuffle of each stage of detection over the whole customer-part graph."""
+    return stages.stage_metrics(s, lambda: detect.stream(g.graph(s, d, "cust_part"), 20).write.format("noop").mode("overwrite").save())
+
+
 QUERIES = {
     f.__name__: f
     for f in (w1_graph_sizes, w1_summary_counts, w1_main_small, w2_sketch_by_depth, w3_rounds, w4_cap_scale, w5_sketch_by_width, w6_bands, w7_truth, w8_cross_by_round, w9_largest_community_edges, w10_shades,
-              w11_stability, w12_overhead, w13_worst, w14_sketch_agrees, w15_best_round, w16_detectors_agree, w17_modularity_truths, w18_stream_agrees, time_saved, best_round)
+              w11_stability, w12_overhead, w13_worst, w14_sketch_agrees, w15_best_round, w16_detectors_agree, w17_modularity_truths, w18_stream_agrees, time_saved, best_round, w7_found, stage_metrics)
 }
 
 

@@ -6,7 +6,7 @@ from contextlib import redirect_stdout
 import pytest
 from pyspark.sql import functions as F
 
-from graphsummary.operators import baselines, detect, draw, edges, layout, measure, rounds, sketch, summary
+from graphsummary.operators import baselines, detect, draw, edges, layout, measure, order, rounds, sketch, summary
 from graphsummary.params import Params
 from graphsummary.plans import pipeline
 from graphsummary.sources import catalogue, readers
@@ -156,3 +156,35 @@ def test_params_are_checked():
         Params(tie="other")
     with pytest.raises(ValueError):
         Params(rounds=0)
+
+
+def test_order_by_ranges(spark):
+    from pyspark.sql import Window
+
+    df = spark.range(5000).select(((F.col("id") * 7919) % 5003).alias("k"), (F.col("id") % 3).alias("g"), F.col("id").alias("v"))
+    w = Window.orderBy("g", "k")
+    n = F.row_number().over(w)
+    want = df.select("v", n.cast("bigint").alias("n"), F.sum("v").over(w.rowsBetween(Window.unboundedPreceding, 0)).alias("s"), F.lead("v").over(w).alias("next"), F.ntile(7).over(w).cast("bigint").alias("tile"))
+    keys = [F.col("g"), F.col("k")]
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    run = order.with_next(order.running(df, keys, n=F.lit(1).cast("bigint"), s=F.col("v")), keys, "v", "next")
+    got = run.select("v", "n", "s", "next", order.tile(F.col("n"), F.lit(5000), 7).cast("bigint").alias("tile"))
+    assert sorted(map(tuple, got.collect()), key=repr) == sorted(map(tuple, want.collect()), key=repr)
+    spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    assert order.numbered(df.limit(0), keys, "n").count() == 0 and order.with_next(df.limit(0), keys, "v", "x").count() == 0
+
+
+def test_components_by_rounds(spark, monkeypatch):
+    """The same labels whether one task finishes the edges or rounds do, on a path, a star and random edges."""
+    import importlib
+    import random
+
+    module = importlib.import_module("graphsummary.operators.components")
+    rng = random.Random(6)
+    rows = [(i, i + 1) for i in range(400)] + [(1000, 1000 + i) for i in range(1, 300)] + [(rng.randrange(2000, 2600), rng.randrange(2000, 2600)) for _ in range(350)] + [(5, None), (7, 7)]
+    e = spark.createDataFrame(rows, "src bigint, dst bigint")
+    want = sorted(map(tuple, module.components(e).collect()))
+    assert (400, 0) in want and (1299, 1000) in want and 7 in [x for x, _ in want]
+    monkeypatch.setattr(module, "FEW", 40)
+    assert sorted(map(tuple, module.components(e).collect())) == want
+    assert module.components(e.limit(0)).count() == 0
