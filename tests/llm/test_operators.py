@@ -213,6 +213,58 @@ def test_lm_score(spark, sf, texts, odd, empty):
     assert lm_score.score(empty, F.lit(lm_score.COUNTED)).count() == 0
 
 
+def test_lm_model_score_against_plain_counts(spark, sf, texts):
+    """The whole method over dictionaries: counts, held-out cells, weights by EM, interpolated scores."""
+    crc = {i: zlib.crc32(str(i).encode()) for i in texts}
+    role = {i: "other" if n % 5 == 1 else "held" if n // 5 % 10 == 0 else "counted" for i, n in crc.items()}
+    split = {i: re.findall(WORD, (x or "").translate({c: c + 32 for c in range(65, 91)})) + ["</s>"] for i, x in texts.items()}
+    chain = {i: list(zip(["<s>", *w], w, strict=False)) for i, w in split.items()}
+
+    def counts(roles):
+        pairs = Counter(p for i, c in chain.items() if role[i] in roles for p in c)
+        words, starts = Counter(), 0
+        for (before, w), n in pairs.items():
+            words[w] += n
+            starts += n * (before == "<s>")
+        return pairs, words, words | Counter({"<s>": starts})
+
+    pairs, words, context = counts({"counted", "held"})
+    rest_pairs, rest_words, rest_context = counts({"counted"})
+    types, total, rest_total = len(words), sum(words.values()), sum(rest_words.values())
+    bucket = lambda n: n.bit_length()
+    rounded = lambda p: 2.0 ** (-min(round(-4 * math.log2(p)), 254) / 4) if p > 0 else 0.0  # noqa: E731  quarters of a bit
+    cells = Counter()
+    for i, c in chain.items():
+        if role[i] == "held":
+            for before, w in c:
+                n = rest_context[before]
+                cells[bucket(n), rounded(rest_pairs[before, w] / n if n else 0), rounded(rest_words[w] / rest_total)] += 1
+
+    def weights(some):
+        w = [1 / 3] * 3
+        for _ in range(lm_score.STEPS):
+            new = [0.0] * 3
+            for (_, p2, p1), n in some.items():
+                part = [w[0] * p2, w[1] * p1, w[2] / (types + 1)]
+                new = [x + n * y / sum(part) for x, y in zip(new, part, strict=True)]
+            w = [x / sum(new) for x in new]
+        w = [max(x, 1e-6) for x in w]
+        return [x / sum(w) for x in w]
+
+    overall = weights(cells)
+    learned = {b: weights({k: n for k, n in cells.items() if k[0] == b}) for b in {k[0] for k in cells}}
+    for b in range(lm_score.BUCKETS):
+        w = learned.get(b, overall)
+        learned[b] = [0.0, w[1] / (w[1] + w[2]), w[2] / (w[1] + w[2])] if b == 0 else w
+    for r in lm_score.op7_lm_score(spark, sf).collect():
+        want = 0.0
+        for before, x in chain[r["doc_id"]]:
+            n = context[before]
+            w = learned[bucket(n)]
+            want += math.log10(w[0] * (pairs[before, x] / n if n else 0) + w[1] * words[x] / total + w[2] / (types + 1))
+        assert r["score"] == pytest.approx(want, rel=1e-6)
+
+
 def test_held_out_weights_follow_the_data():
     cell = np.array([(3 * 256 + 5) * 256 + 40, (1 * 256 + 0) * 256 + 9])  # a good pair estimate; none
     w = lm_score.fit_weights(cell, np.array([100, 100]), 1000)
@@ -288,6 +340,35 @@ def test_language_id(spark, sf, docs, odd, empty):
     assert language_id.predict(empty, model).count() == 0
 
 
+def test_language_id_against_plain_sets(spark, sf, docs):
+    """The n-gram sets as sets and shares without a filter: scores differ by the filter's false answers only."""
+    plain = lambda x: re.sub(rb"[^a-z\x80-\xff]+", b" ", b" " + x.translate({c: c + 32 for c in range(65, 91)}).encode() + b" ")
+    grams = lambda b: [b[i : i + 4] for i in range(len(b) - 3)]
+    rows = docs.select("doc_id", "text", "lang").collect()
+    counts = {}
+    for r in rows:
+        if r["text"] is not None and r["lang"] is not None and zlib.crc32(str(r["doc_id"]).encode()) % 5 != 0:
+            counts.setdefault(r["lang"], Counter()).update(grams(plain(r["text"])))
+    total = {k: sum(c.values()) for k, c in counts.items()}
+    most = Counter()
+    for k, c in counts.items():
+        for g, n in c.items():
+            most[g] = max(most[g], n / total[k])
+    sets = {k: {g for g, n in c.items() if n / total[k] >= language_id.SHARE * most[g] and n >= max(language_id.LEAST, total[k] * language_id.LEAST_RATE)} for k, c in counts.items()}
+    got = {r["doc_id"]: r for r in language_id.op10_language_id(spark, sf).collect()}
+    assert len(got) == len(rows)
+    for r in rows:
+        own = grams(plain(r["text"] or ""))
+        if not re.search(r"[^\W\d_]", r["text"] or ""):
+            assert (got[r["doc_id"]]["lang_pred"], got[r["doc_id"]]["score"]) == ("und", 0.0)
+            continue
+        share = {k: sum(g in s for g in own) / max(len(own), 1) for k, s in sets.items()}
+        pred, best = got[r["doc_id"]]["lang_pred"], max(share.values())
+        # a deviation of the false answers among the n-grams that are in no set
+        slack = 3 * language_id.FALSE_RATE + 4 * math.sqrt(language_id.FALSE_RATE / max(len(own), 1))
+        assert share[pred] >= best - slack and abs(got[r["doc_id"]]["score"] - share[pred]) <= slack
+
+
 def test_language_id_of_many_languages_and_n_grams(spark, monkeypatch):
     rng = random.Random(5)
     words = {f"l{i:03}": ["".join(rng.choices("abcdefghijklmnopqrstuvwxyz", k=6)) for _ in range(8)] for i in range(130)}
