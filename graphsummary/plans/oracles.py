@@ -177,6 +177,7 @@ ORACLES: dict[str, str] = {
     "attraction_log_step": plain(f"{PLACED}, {PULL.format(f='w * ln(1 + ' + _D + ') / ' + _D)}", f"select {XY.format('fx', 'fy')} from pull"),
     "repulsion_exact_step": plain(f"{PLACED}, {PUSH.format(m='1')}", f"select {XY.format('fx', 'fy')} from push"),
     "repulsion_weighted_step": plain(f"{PLACED}, {PUSH.format(m='ma * mb')}", f"select {XY.format('fx', 'fy')} from push"),
+    "repulsion_opened_exact": plain(f"{PLACED}, {PUSH.format(m='ma * mb')}", f"select {XY.format('fx', 'fy')} from push"),
     "speeds_step": plain(FORCES, "select node, round(sqrt(fx * fx + fy * fy), 3) as swing, round(1 / (1 + sqrt(sqrt(fx * fx + fy * fy))), 6) as speed from total"),
     "speeds_paper_step": plain(FORCES, "select node, round(sqrt(fx * fx + fy * fy), 3) as swing, round(1 / (1 + sqrt(1 + sqrt(fx * fx + fy * fy))), 6) as speed from total"),
     "move_step": plain(FORCES, "select node, round(x + fx / (1 + sqrt(sqrt(fx * fx + fy * fy))), 3) as x, round(y + fy / (1 + sqrt(sqrt(fx * fx + fy * fy))), 3) as y from total join pos using (node)"),

@@ -354,6 +354,8 @@ named("attraction_log_step", lambda s, d: _xy(layout.attraction(placed(s, d), gr
 named("repulsion_exact_step", lambda s, d: _xy(layout.repulsion_exact(placed(s, d).withColumn("mass", F.lit(1.0))), "fx", "fy"))
 named("repulsion_weighted_step", lambda s, d: _xy(layout.repulsion_exact(placed(s, d)), "fx", "fy"))
 named("repulsion_tree_step", lambda s, d: _xy(layout.repulsion_tree(layout.init(edges.nodes(planted(s, d)))), "fx", "fy"))
+named("repulsion_opened_step", lambda s, d: _xy(layout.repulsion_opened(layout.init(edges.nodes(planted(s, d)))), "fx", "fy"))
+named("repulsion_opened_exact", lambda s, d: _xy(layout.repulsion_opened(placed(s, d), theta=0.0, leaf=1), "fx", "fy"))
 named("speeds_step", lambda s, d: layout.speeds(_step(s, d)).select("node", rounded("swing", 3), rounded("speed", 6)))
 named("speeds_paper_step", lambda s, d: layout.speeds(_step(s, d), rule="paper").select("node", rounded("swing", 3), rounded("speed", 6)))
 

@@ -101,6 +101,31 @@ def test_tree_repulsion_is_close(spark):
     assert err < 0.05
 
 
+def clumped(spark):
+    """700 nodes in a place a ten-thousandth as wide as the whole, 100 about it, 20 on one point."""
+    rows = layout.init(spark.range(820).withColumnRenamed("id", "node"))
+    scale = F.when(F.col("node") < 700, 1e-4).when(F.col("node") < 800, 1.0).otherwise(0.0)
+    return store(rows.withColumns({"x": F.col("x") * scale + F.when(F.col("node") >= 800, 30.0).otherwise(0.0), "y": F.col("y") * scale, "mass": F.col("node") % 3 + 1.0}), "clumped")
+
+
+def off(a, b):
+    j = a.toDF("node", "ax", "ay").join(b, "node")
+    row = j.agg(F.count("*").alias("n"), F.avg(F.hypot(F.col("ax") - F.col("fx"), F.col("ay") - F.col("fy")) / F.hypot("ax", "ay")).alias("err")).first()
+    return row["n"], row["err"]
+
+
+def test_opened_repulsion(spark):
+    at = clumped(spark)
+    exact = store(layout.repulsion_exact(at), "exact")
+    n, err = off(exact, layout.repulsion_opened(at, theta=0.0))
+    assert n == 820 and err < 1e-6
+    errors = [off(exact, layout.repulsion_opened(at, theta=t))[1] for t in (0.3, 0.9)]
+    assert errors[0] < errors[1] < 0.05 and errors[0] < 0.01
+    assert layout.repulsion_opened(at.limit(0)).count() == 0
+    one = layout.repulsion_opened(at.limit(1)).first()
+    assert (one["fx"], one["fy"]) == (0.0, 0.0)
+
+
 def test_task_and_cluster_layouts_agree(spark):
     e = catalogue.toy(spark)
     n = edges.nodes(e)
