@@ -12,7 +12,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphsummary.operators import baselines, detect, draw, edges, measure, rounds, sketch, summary
+from graphsummary.operators import baselines, detect, draw, edges, layout, measure, rounds, sketch, summary
 from graphsummary.params import Params
 from graphsummary.plans import case, oracles, pipeline, stages
 from graphsummary.plans import queries as q
@@ -143,10 +143,12 @@ def w7(s, d, counts=(2, 3, 4)) -> DataFrame:
 def w8(s, d, most=6) -> DataFrame:
     """Round by round on the graph of mode degree 2: inner and cross edges."""
     e = _edges(s, d, "planted")
-    rows = []
+    rows, levels = [], rounds.detect(e, most, stop_when_stable=False).hierarchy
+    now = edges.nodes(e).select("node", F.col("node").alias("community"))
     for k in range(1, most + 1):
-        a = rounds.detect(e, k, stop_when_stable=False).assignment
-        t = measure.edge_split(e, a).agg(F.sum("inner").alias("i"), (F.sum("cross") / 2).alias("c"), F.avg("inner").alias("m")).first()
+        step = levels.where(F.col("round") == k).select(F.col("child").alias("community"), "parent")
+        now = store(now.join(step, "community", "left").select("node", F.coalesce("parent", "community").alias("community")), "labels")
+        t = measure.edge_split(e, now).agg(F.sum("inner").alias("i"), (F.sum("cross") / 2).alias("c"), F.avg("inner").alias("m")).first()
         rows += [("planted", k, "inner", t["i"]), ("planted", k, "cross", t["c"]), ("planted", k, "inner_per_community", t["m"])]
     return frame(s, rows)
 
@@ -362,6 +364,28 @@ def w8_cross_by_round(s, d):
     return out
 
 
+def w3_independent(s, d):
+    """2, 3 and 4 rounds, each a run of its own, with the caps that the graph's own mode gives."""
+    e = store(g.graph(s, d, "planted"), "edges")
+    rows = [(m["rounds"], m["sn"], m["se"], m["q"]) for m in rounds.sweep(e, [2, 3, 4], with_q=True)]
+    return s.createDataFrame(rows, "rounds int, sn bigint, se bigint, q double")
+
+
+def w8_all_rounds(s, d):
+    """Inner and cross edges after each of six rounds."""
+    return w8(s, d, 6)
+
+
+def w9_extent_first_step(s, d):
+    """Found communities in the whole layout as it starts: spread, cells, inner edges, and these of all possible ones."""
+    e = store(g.graph(s, d, "planted"), "edges")
+    a = store(detect.stream(e, q.CAP), "labels")
+    spread = measure.extent(layout.init(edges.nodes(e)), a, 10.0)
+    both = spread.join(measure.edge_split(e, a).select("community", "inner"), "community", "left").withColumn("inner", F.coalesce("inner", F.lit(0)))
+    density = F.when(F.col("n_nodes") > 1, 2 * F.col("inner") / (F.col("n_nodes") * (F.col("n_nodes") - 1)))
+    return both.select("community", "n_nodes", F.round("rms_radius", 6).alias("rms_radius"), "cells", "inner", F.round(density, 6).alias("density"))
+
+
 def w9_largest_community_edges(s, d):
     e = store(g.graph(s, d, "planted"), "edges")
     a = store(detect.stream(e, q.CAP), "labels")
@@ -443,7 +467,7 @@ def stage_metrics(s, d):
 
 QUERIES = {
     f.__name__: f
-    for f in (w1_graph_sizes, w1_summary_counts, w1_main_small, w2_sketch_by_depth, w3_rounds, w4_cap_scale, w5_sketch_by_width, w6_bands, w7_truth, w8_cross_by_round, w9_largest_community_edges, w10_shades,
+    for f in (w1_graph_sizes, w1_summary_counts, w1_main_small, w2_sketch_by_depth, w3_rounds, w4_cap_scale, w5_sketch_by_width, w6_bands, w7_truth, w8_cross_by_round, w9_largest_community_edges, w10_shades, w3_independent, w8_all_rounds, w9_extent_first_step,
               w11_stability, w12_overhead, w13_worst, w14_sketch_agrees, w15_best_round, w16_detectors_agree, w17_modularity_truths, w18_stream_agrees, time_saved, best_round, w7_found, stage_metrics)
 }
 
@@ -509,6 +533,9 @@ ORACLES = {
     "w7_truth": oracles.ORACLES["modularity"],
     "w8_cross_by_round": oracles.plain(_BOTH, "select 1 as round, cast(sum(\"inner\") as bigint) as \"inner\", cast(sum(\"cross\") / 2 as bigint) as \"cross\" from pa union all select 2, cast(sum(\"inner\") as bigint), cast(sum(\"cross\") / 2 as bigint) from pb"),
     "w9_largest_community_edges": oracles.plain(f"{oracles._MANY}, top as (select community from sizes order by size desc, community limit 1)", "select e.src, e.dst from e join label a on e.src = a.node join label b on e.dst = b.node join top on a.community = top.community and b.community = top.community"),
+    "w9_extent_first_step": oracles.plain(
+        f"{oracles.ONE}, spots as (select node, 1.0 as mass from deg), {oracles.START}, {oracles.split('label')}, spread as (select community, count(*) as n_nodes, round(sqrt(var_pop(x) + var_pop(y)), 6) as rms_radius, count(distinct (floor(x / 10), floor(y / 10))) as cells from pos join label using (node) group by community)",
+        "select community, n_nodes, rms_radius, cells, coalesce(\"inner\", 0) as \"inner\", round(case when n_nodes > 1 then 2.0 * coalesce(\"inner\", 0) / (n_nodes * (n_nodes - 1)) end, 6) as density from spread left join parts using (community)"),
     "w10_shades": f"select shade, count(*) as n, max(size) as most from ({oracles.ORACLES['sequential_shades']}) group by shade",
     "w12_overhead": f"select graph, round(100.0 * s / w, 6) as percent from (values {_VALUES}) t(graph, w, t, s)",
     "w13_worst": f"select cast(min(floor(100 * (1 - t / w))) as bigint) as least, cast(max(floor(100 * (1 - t / w))) as bigint) as most from (values {_VALUES}) t(graph, w, t, s)",

@@ -2,6 +2,7 @@
 
 import pytest
 
+from graphsummary.operators import rounds
 from graphsummary.plans import oracles, queries, workloads
 from tests.compare import same
 
@@ -18,7 +19,7 @@ def test_query(spark, sf, name):
     assert same(queries.QUERIES[name](spark, sf), oracles.ORACLES[name], sf)
 
 
-@pytest.mark.parametrize("name", ["w4_cap_scale", "w12_overhead", "time_saved", "w17_modularity_truths"])
+@pytest.mark.parametrize("name", ["w4_cap_scale", "w9_extent_first_step", "w12_overhead", "time_saved", "w17_modularity_truths"])
 def test_workload(spark, sf, name):
     assert same(workloads.QUERIES[name](spark, sf), workloads.ORACLES[name], sf)
 
@@ -42,3 +43,22 @@ def test_general_operators_on_the_whole_graph(spark, sf):
     degrees = f"with e as ({pairs}) select node, count(*) as deg from (select src as node from e union all select dst from e) group by node"
     assert same(queries.QUERIES["degrees_cust_part"](spark, sf), degrees, sf)
     assert same(queries.QUERIES["degrees"](spark, sf), oracles.ORACLES["degrees"], sf)
+
+
+def test_independent_runs_and_rounds_of_one_run_agree(spark, sf):
+    e = workloads._edges(spark, sf, "planted")
+    nested = {m["round"]: m for m in rounds.detect(e, 4, stop_when_stable=False, with_q=True).metrics}
+    own = {r["rounds"]: r for r in workloads.w3_independent(spark, sf).collect()}
+    assert set(own) == {2, 3, 4}
+    for k, r in own.items():
+        assert (r["sn"], r["se"]) == (nested[k]["sn"], nested[k]["se"]) and abs(r["q"] - nested[k]["q"]) < 1e-9
+
+
+def test_inner_and_cross_edges_of_every_round(spark, sf):
+    got = {(r["setting"], r["metric"]): r["value"] for r in workloads.w8(spark, sf, 3).collect()}
+    e = workloads._edges(spark, sf, "planted")
+    rows = [(r["src"], r["dst"]) for r in e.collect()]
+    for k in (1, 3):
+        label = {r["node"]: r["community"] for r in rounds.detect(e, k, stop_when_stable=False).assignment.collect()}
+        inner = sum(label[a] == label[b] for a, b in rows)
+        assert (got[str(k), "inner"], got[str(k), "cross"]) == (inner, len(rows) - inner)
