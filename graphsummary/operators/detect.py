@@ -15,7 +15,11 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphsummary.operators.edges import degrees, half_edges, nodes
-from graphsummary.sources.storage import discard, store
+from graphsummary.operators.order import RANGE, ranged
+from graphsummary.sources.storage import discard, small, store
+
+#: A node's edges that one task may rank.
+HUB = 1 << 20
 
 
 def _limit(cap: int, admit: str) -> int:
@@ -24,9 +28,31 @@ def _limit(cap: int, admit: str) -> int:
     return cap if admit == "le" else cap - 1
 
 
-def ranked(edges: DataFrame, limit: int | None = None, offset: DataFrame | None = None) -> DataFrame:
-    """Half-edges with the running degree of their node. limit drops what no cap admits while it is shuffled."""
-    rows = half_edges(edges).withColumn("rank", F.row_number().over(Window.partitionBy("node").orderBy("seq")))
+def _hub_ranks(half: DataFrame, limit: int | None) -> DataFrame:
+    """half with rank, for nodes of many edges: ranks inside ranges of (node, seq), added to what earlier ranges hold."""
+    rows = ranged(half, [F.col("node"), F.col("seq")])
+    before = Window.partitionBy("node").orderBy(RANGE).rowsBetween(Window.unboundedPreceding, -1)  # a row for each range
+    per = rows.groupBy("node", RANGE).agg(F.count("*").alias("held"))
+    per = per.select("node", RANGE, F.coalesce(F.sum("held").over(before), F.lit(0)).alias("__start"))
+    if limit is not None:
+        per = per.where(F.col("__start") < limit)
+    own = F.row_number().over(Window.partitionBy("node", RANGE).orderBy("seq"))
+    return rows.join(per, ["node", RANGE]).withColumn("rank", F.col("__start") + own).select("seq", "node", "side", "rank")
+
+
+def ranked(edges: DataFrame, limit: int | None = None, offset: DataFrame | None = None, hub: int = HUB) -> DataFrame:
+    """Half-edges with the running degree of their node. limit drops what no cap admits while it is shuffled; where it
+    lets more than hub edges of a node through, nodes of more edges are ranked by ranges, over many tasks."""
+    half = half_edges(edges)
+    plain = lambda x: x.withColumn("rank", F.row_number().over(Window.partitionBy("node").orderBy("seq")).cast("bigint"))
+    rows = None
+    if limit is None or limit > hub:
+        hubs = store(degrees(edges).where(F.col("deg") > hub).select("node"), "hubs")
+        if not hubs.isEmpty():
+            hubs = small(hubs)
+            rest = plain(half.join(hubs, "node", "left_anti")).select("seq", "node", "side", "rank")
+            rows = rest.unionByName(_hub_ranks(half.join(hubs, "node", "left_semi"), limit))
+    rows = plain(half) if rows is None else rows
     if limit is not None:
         rows = rows.where(F.col("rank") <= limit)
     if offset is None:

@@ -101,6 +101,16 @@ def test_tree_repulsion_is_close(spark):
     assert err < 0.05
 
 
+def test_hubs_are_ranked_by_ranges(spark):
+    rows = [(i, 0, i + 1) for i in range(300)] + [(300 + i, i % 40 + 1, 1000 + i) for i in range(200)] + [(500, 7, 7)]
+    e = spark.createDataFrame([(a * 7919 % 100003, b, c, 1) for a, b, c in rows], "seq bigint, src bigint, dst bigint, w bigint")
+    key = e.withColumn("seq", F.struct(F.col("seq").alias("k0"), "src", "dst"))
+    for x in (e, key):
+        for limit in (None, 120):
+            whole, split = (sorted((str(r["seq"]), r["node"], r["deg"]) for r in detect.ranked(x, limit, hub=h).collect()) for h in (1 << 20, 4))
+            assert whole == split and len(whole) == (2 * len(rows) if limit is None else 2 * len(rows) - 180)
+
+
 def clumped(spark):
     """700 nodes in a place a ten-thousandth as wide as the whole, 100 about it, 20 on one point."""
     rows = layout.init(spark.range(820).withColumnRenamed("id", "node"))
