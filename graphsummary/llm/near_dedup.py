@@ -238,9 +238,11 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     spark = docs.sparkSession
     source = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     kind, key = source.schema["doc_id"].dataType.simpleString(), ["n", "f1", "f2"]
-    sig = store(source.mapInArrow(_signed, f"doc_id {kind}, n bigint, f1 bigint, f2 bigint, left array<bigint>, right array<bigint>"), "signatures")
-    classes = sig.where("n > 0").groupBy(*key).agg(F.min("doc_id").alias("rep"), F.any_value("left").alias("left"), F.any_value("right").alias("right"))
+    signed = store(source.mapInArrow(_signed, f"doc_id {kind}, n bigint, f1 bigint, f2 bigint, left array<bigint>, right array<bigint>"), "signatures")
+    classes = signed.where("n > 0").groupBy(*key).agg(F.min("doc_id").alias("rep"), F.any_value("left").alias("left"), F.any_value("right").alias("right"))
     classes = store(classes.withColumn("c", F.monotonically_increasing_id()), "classes")
+    sig = store(signed.select("doc_id", *key), "keys")  # what lies on disk has no sub-keys once they are used
+    discard(signed)
 
     again = sig.where("n > 0").groupBy("doc_id").agg(F.count("*").alias("rows")).where("rows > 1 and doc_id is not null").select("doc_id")
     texts = store(sig.join(small(store(again, "again")), "doc_id").join(classes.select("c", *key), key).select("doc_id", "c").distinct(), "texts")
@@ -248,6 +250,8 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     # a star in each cell
     cells, lefts = _cells(classes)
     cells = store(cells, "cells")
+    keyed, classes = classes, store(classes.select("c", "rep", *key), "classes")
+    discard(keyed)
     centre = cells.groupBy("cell").agg(F.min_by("c", F.xxhash64("c")).alias("centre"))
     pairs = cells.join(centre, "cell").where("c <> centre").select(F.least("c", "centre").alias("a"), F.greatest("c", "centre").alias("b"))
     pairs = store(pairs.distinct(), "pairs")
