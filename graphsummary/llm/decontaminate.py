@@ -39,6 +39,8 @@ WINDOW, LITERALS, SHORT, COVER, POINTS = 8, 3, 5, 13, 26
 DENSE, SPARSE, LITERAL = 0, 1, 2
 #: Bits of the filter of benchmark windows that documents are read against; its size does not depend on the data.
 FILTER_BITS = 1 << 24
+#: Bytes of text that become arrays at once: about 60 bytes of them for each of the text's.
+PIECE = 1 << 19
 # fixed values: words that are units after a number
 UNITS = "mm cm m km in ft yd mi mg g kg t lb oz ml cl l s sec min h hr hrs day days week weeks month months year years hour hours minute minutes second seconds usd eur gbp dollar dollars euro euros cent cents percent pct kb mb gb tb hz khz mhz ghz w kw mw v a k c f mph kmh".split()
 
@@ -147,7 +149,7 @@ _ITEM = ["item_id", "h", "item_at", "item_slots", "kind", "length", "points"]
 
 
 def _item_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch, data, offsets in slices(batches, "text"):
+    for batch, data, offsets in slices(batches, "text", PIECE):
         token, value, slot, at = templates(data, offsets)
         literal, single, literal_at = literals(data, offsets)
         singles = np.concatenate([[0], np.cumsum(single)])[literal_at]
@@ -166,7 +168,7 @@ def _item_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 def _doc_windows(held):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits, lengths = held.value
-        for batch, data, offsets in slices(batches, "text"):
+        for batch, data, offsets in slices(batches, "text", PIECE):
             token, value, slot, at = templates(data, offsets)
             literal, _, literal_at = literals(data, offsets)
             for length, is_literal in lengths:
