@@ -2,6 +2,7 @@
 
 import io
 from contextlib import redirect_stdout
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
@@ -10,7 +11,7 @@ from graphsummary.operators import baselines, detect, draw, edges, layout, measu
 from graphsummary.params import Params
 from graphsummary.plans import pipeline
 from graphsummary.sources import catalogue, readers
-from graphsummary.sources.storage import store
+from graphsummary.sources.storage import shared_dir, store
 from graphsummary.streaming import attach
 
 E = "seq bigint, src bigint, dst bigint, w bigint"
@@ -136,6 +137,25 @@ def test_opened_repulsion(spark):
     assert (one["fx"], one["fy"]) == (0.0, 0.0)
 
 
+def test_opened_repulsion_by_blocks(spark):
+    """Blocks of any size give the same forces, crowded and massless nodes included, and no node's way is written as rows."""
+    at = clumped(spark)
+    some = store(at.withColumn("mass", F.when(F.col("node") % 5 == 0, 0.0).otherwise(F.col("mass"))), "some")
+    for rows, deepest in ((at, None), (some, 8)):
+        whole = store(layout.repulsion_opened(rows, deepest=deepest), "whole")
+        both = whole.toDF("node", "ax", "ay").join(layout.repulsion_opened(rows, deepest=deepest, block=16), "node")
+        apart, size = F.hypot(F.col("ax") - F.col("fx"), F.col("ay") - F.col("fy")), F.hypot("ax", "ay")
+        n, most = both.agg(F.count("*"), F.max(apart / (size + 1.0))).first()
+        assert n == 820 and most < 1e-9
+    assert layout.repulsion_opened(at.withColumn("mass", F.lit(0.0)), block=16).agg(F.count("*"), F.sum(F.abs("fx"))).first()[:2] == (820, 0.0)
+    many = store(layout.init(spark.range(5000).withColumnRenamed("id", "node")), "many")
+    folder = Path(shared_dir(spark).removeprefix("file:"))
+    held = lambda: sum(p.stat().st_size for p in folder.rglob("*.parquet"))
+    before = held()
+    assert layout.repulsion_opened(many).count() == 5000
+    assert held() - before < 5000 * 100
+
+
 def test_task_and_cluster_layouts_agree(spark):
     e = catalogue.toy(spark)
     n = edges.nodes(e)
