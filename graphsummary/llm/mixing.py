@@ -16,8 +16,6 @@ from __future__ import annotations
 import heapq
 import math
 
-import numpy as np
-import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -127,31 +125,53 @@ def route(capacity: dict[tuple, int], quota: dict, passes: int) -> dict[tuple, d
     return {p: {source_of[to[k]]: room[k ^ 1] for k in near[node["p", p]] if k % 2 == 0 and to[k] in source_of} for p in patterns}
 
 
-def _parts(group: pd.DataFrame) -> pd.DataFrame:
-    """For each size class of a pattern, the first bucket that the partial pass leaves out."""
-    total, want, carry, out = group["words"].sum(), float(group["extra"].iloc[0]), 0.0, []
-    for k, own in sorted(group.groupby("size_class"), key=lambda x: -x[0]):
-        own = own.sort_values("bucket")
-        sums = np.concatenate([[0], own["words"].to_numpy().cumsum()])
-        aim = want * sums[-1] / max(total, 1) + carry
-        j = int(np.abs(sums - aim).argmin())
-        carry = aim - sums[j]
-        out.append((own["pattern"].iloc[0], k, int(own["bucket"].iloc[j - 1]) + 1 if j else 0))
-    return pd.DataFrame(out, columns=["pattern", "size_class", "below"])
+def words_in(text: str) -> Column:
+    """The number of words; none in a null. Each word becomes one letter, so that no list of words is made."""
+    letters = F.translate(F.regexp_replace(F.col(text), rf"[\x20\x09-\x0D]*{WORD}", "x"), " \t\n\x0b\x0c\r", "")
+    return F.coalesce(F.length(letters), F.lit(0)).cast("bigint")
 
 
-def mix(docs: DataFrame, quota: dict[str, float], memberships: Column, size: str, doc_id: str = "doc_id", passes: int = 3, seed: int = 11) -> DataFrame:
+def _parts(parts: DataFrame, plan: DataFrame) -> DataFrame:
+    """(pattern, size_class, below): for each size class of a pattern, the first bucket that the partial pass leaves out.
+    Classes go from large to small, and what one misses or exceeds is made up for by the next."""
+    own = parts.groupBy("pattern", "size_class").agg(F.sort_array(F.collect_list(F.struct("bucket", F.col("words").cast("bigint").alias("words")))).alias("own"), F.sum("words").cast("double").alias("sum"))  # BUCKETS at most
+    classes = F.sort_array(F.collect_list(F.struct("size_class", "own", "sum")), asc=False).alias("classes")
+    all_ = own.groupBy("pattern").agg(classes, F.greatest(F.sum("sum"), F.lit(1.0)).alias("total")).join(plan, "pattern")
+
+    def nearest(buckets: Column, aim: Column) -> Column:
+        def step(now: Column, b: Column) -> Column:
+            run = now["run"] + b["words"]
+            nearer = F.abs(run - now["aim"]) < F.abs(now["sum"] - now["aim"])
+            return F.struct(now["aim"].alias("aim"), run.alias("run"), F.when(nearer, run).otherwise(now["sum"]).alias("sum"), F.when(nearer, b["bucket"] + 1).otherwise(now["below"]).alias("below"))
+
+        none = F.lit(0).cast("bigint")
+        start = F.struct(aim.alias("aim"), none.alias("run"), none.alias("sum"), F.lit(0).alias("below"))
+        return F.aggregate(buckets, start, step)
+
+    def cut(now: Column, c: Column) -> Column:
+        found = nearest(c["own"], F.col("extra") * c["sum"] / F.col("total") + now["carry"])
+        made = F.struct((found["aim"] - found["sum"]).alias("carry"), F.struct(c["size_class"].alias("size_class"), found["below"].alias("below")).alias("cut"))
+        return F.aggregate(F.array(made), now, lambda old, m: F.struct(m["carry"].alias("carry"), F.concat(old["cuts"], F.array(m["cut"])).alias("cuts")))  # found once
+
+    start = F.struct(F.lit(0.0).alias("carry"), F.array().cast("array<struct<size_class:int,below:int>>").alias("cuts"))
+    return all_.select("pattern", F.explode(F.aggregate("classes", start, cut)["cuts"]).alias("cut")).select("pattern", "cut.*")
+
+
+def mix(docs: DataFrame, quota: dict[str, float], memberships: Column, size: str, doc_id: str = "doc_id", passes: int = 3, seed: int = 11, counted: DataFrame | None = None) -> DataFrame:
     """Add `copies` and `taken` to docs: how often the mix repeats the document, and the words it takes.
 
-    memberships: array<string> of the sources that a document counts for. quota: words wanted from each source.
+    memberships: array<string> of the sources that a document counts for. quota: words wanted from each source. counted: the
+    same rows with only what memberships, size and doc_id need, where docs are costly to read twice.
     """
     names = F.array_sort(F.array_distinct(F.coalesce(F.filter(memberships, lambda s: s.isNotNull()), F.array().cast("array<string>"))))
-    tagged = docs.drop(*({"copies", "taken"} - {size, doc_id})).withColumns({
+    tags = {
         "__pattern": F.to_json(names),
         "__class": F.when(F.col(size) > 0, F.floor(F.log2(F.col(size).cast("double"))).cast("int")).otherwise(-1),
         "__bucket": F.pmod(F.xxhash64(F.col(doc_id), F.lit(seed)), F.lit(BUCKETS)).cast("int"),
-    })
-    parts = store(tagged.where("__class >= 0").groupBy(F.col("__pattern").alias("pattern"), F.col("__class").alias("size_class"), F.col("__bucket").alias("bucket")).agg(F.sum(size).alias("words")), "buckets")
+    }
+    tagged = docs.drop(*({"copies", "taken"} - {size, doc_id})).withColumns(tags)
+    narrow = tagged if counted is None else counted.withColumns(tags)
+    parts = store(narrow.where("__class >= 0").groupBy(F.col("__pattern").alias("pattern"), F.col("__class").alias("size_class"), F.col("__bucket").alias("bucket")).agg(F.sum(size).alias("words")), "buckets")
     patterns = parts.groupBy("pattern").agg(F.sum("words").alias("words"))
     rows = patterns.limit(MAX_PATTERNS + 1).collect()
     if len(rows) > MAX_PATTERNS:
@@ -166,8 +186,7 @@ def mix(docs: DataFrame, quota: dict[str, float], memberships: Column, size: str
         whole = min(passes, int(flow / words + 1e-9))
         plan.append((r["pattern"], whole, max(0.0, flow - whole * words) if whole < passes else 0.0))
     plan_df = F.broadcast(docs.sparkSession.createDataFrame(plan, "pattern string, whole int, extra double"))
-    shape = "pattern string, size_class int, below int"
-    cut = store(parts.join(plan_df, "pattern").groupBy("pattern").applyInPandas(_parts, shape).join(plan_df, "pattern"), "parts")
+    cut = store(_parts(parts, plan_df).join(plan_df, "pattern"), "parts")
     cut = small(cut.select(F.col("pattern").alias("__pattern"), F.col("size_class").alias("__class"), F.col("below").alias("__below"), F.col("whole").alias("__whole")))
     copies = F.coalesce(F.col("__whole") + (F.col("__bucket") < F.col("__below")).cast("int"), F.lit(0))
     return tagged.join(cut, ["__pattern", "__class"], "left").withColumn("copies", copies).withColumn("taken", F.col("copies") * F.col(size)).drop("__pattern", "__class", "__bucket", "__below", "__whole")
@@ -194,7 +213,7 @@ def source_targets(sized: DataFrame, key: str, size: str, weights: tuple[float,
 
 def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    sized = store(docs.select("doc_id", source_key("source").alias("key"), F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("bigint").alias("size")), "sizes")
+    sized = store(docs.select("doc_id", source_key("source").alias("key"), words_in("text").alias("size")), "sizes")
     targets = source_targets(sized, "key", "size")
     table = spark.createDataFrame([(s, *v) for s, v in targets.items()], "key string, source_size bigint, target double")
     mixed = mix(sized, {s: t for s, (_, t) in targets.items()}, F.array("key"), "size")

@@ -129,6 +129,30 @@ def test_mixing(spark, sf, odd, empty):
     assert mixing.mix(n.limit(0), {"s": 5.0}, F.array(F.lit("s")), "n").count() == 0
 
 
+def test_mix_is_cut_without_python(spark):
+    """The partial pass of a mix needs no Python worker and cuts as a plain loop does; words are counted without lists of them."""
+    rng = random.Random(5)
+    rows = [(p, c, b, rng.randint(1, 50) << c) for p in "ab" for c in range(6) for b in rng.sample(range(256), 40)]
+    extra = {"a": 3000.5, "b": 17.0}
+    plan = spark.createDataFrame([(p, 1, e) for p, e in extra.items()], "pattern string, whole int, extra double")
+    made = mixing._parts(spark.createDataFrame(rows, "pattern string, size_class int, bucket int, words bigint"), plan)
+    assert not any(x in made._jdf.queryExecution().toString() for x in ("InPandas", "InArrow", "PythonUDF"))
+    want = set()
+    for p, e in extra.items():
+        total, carry = sum(r[3] for r in rows if r[0] == p), 0.0
+        for c in reversed(range(6)):
+            own = sorted((b, w) for q, k, b, w in rows if (q, k) == (p, c))
+            sums = [sum(w for _, w in own[:j]) for j in range(len(own) + 1)]
+            aim = e * sums[-1] / total + carry
+            j = min(range(len(sums)), key=lambda j: (abs(sums[j] - aim), j))
+            carry = aim - sums[j]
+            want.add((p, c, own[j - 1][0] + 1 if j else 0))
+    assert {tuple(r) for r in made.collect()} == want
+    texts = ["", None, " ", "a", "  a  b\n\x0b c ", "\x1c x\u00a0y\u2003z\t", "\r\n", "\u00e9 \u00fc\n\n\u20ac"]
+    counted = spark.createDataFrame([(x,) for x in texts], "text string").select("text", mixing.words_in("text").alias("n")).collect()
+    assert all(r["n"] == len(re.findall(mixing.WORD, r["text"] or "")) for r in counted) and len(counted) == 8
+
+
 def test_near_dedup(spark, texts, docs, odd, empty):
     want = near_dedup.brute_force(texts)
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dedup.near_duplicates(docs).collect()} == want
