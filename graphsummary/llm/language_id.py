@@ -30,7 +30,7 @@ from graphsummary.llm.common import documents, fold_of, mix, slices, store
 
 GRAM, PROBES = 4, 3
 #: Text for each pass over the arrays, which take about a hundred times as many bytes.
-PIECE = 1 << 20
+PIECE = 1 << 18
 #: The fewest slots of the filter, languages of a mask, and what makes an n-gram part of a language.
 SLOTS, LANGUAGES, SHARE, LEAST, LEAST_RATE = 1 << 20, 63, 0.1, 2, 1e-6
 #: The rate at which a language may answer falsely; bytes of masks that a worker holds at once; slots read at once.

@@ -47,7 +47,7 @@ PARTS, LEVELS = 128, 8
 GROWTH = 256
 HALVES, WORDS = PARTS // 64, PARTS // 64 * LEVELS
 #: Text for each pass over the min-hashes: the arrays should stay in a core's cache.
-PIECE = 1 << 20
+PIECE = 1 << 18
 
 _RNG = np.random.default_rng(SEED)
 _HIGH = (_RNG.integers(0, 1 << 31, (2 * SUB * ROWS,)) * 2 + 1).astype(np.uint32)

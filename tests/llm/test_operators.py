@@ -500,3 +500,15 @@ def test_pipeline_of_null_ids_repeated_rows_and_empty_tables(spark, tmp_path):
         now = corpus_pipeline.store(stage(spark, now, str(tmp_path)), "stage")
         assert corpus_pipeline.store(stage(spark, nothing, str(tmp_path)), "empty").count() == 0
     assert now.columns[:5] == list(corpus_pipeline.COLUMNS)
+
+
+def test_slices_give_memory_back(monkeypatch):
+    import pyarrow as pa
+
+    from graphsummary.llm import common
+
+    calls = []
+    monkeypatch.setattr(common, "give_back", lambda: calls.append(1))
+    batches = [pa.record_batch({"text": [f"{i} " * 50 for i in range(20)]}) for _ in range(3)]
+    got = [x for piece, _, _ in common.slices(iter(batches), "text", 100) for x in piece.column(0).to_pylist()]
+    assert got == [x for b in batches for x in b.column(0).to_pylist()] and len(calls) == 3
