@@ -175,17 +175,20 @@ def _bounds(sets: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
     Of k shingles in a part, the first LEVELS set a bit of their level each; over counts the rest.
     """
     each = sets.select("c", "n", F.explode("members").alias("x"))
-    held = each.groupBy("x").agg(F.count("*").alias("holders")).where(F.col("holders") <= RARE)
-    rare = store(each.join(held, "x").select("x", "c", "n", "holders"), "rare")
-    one, two = rare.where("holders > 1").alias("one"), rare.where("holders > 1").alias("two")
+    held = store(each.groupBy("x").agg(F.count("*").alias("holders")).where("holders > 1"), "held")
+    rare = store(each.join(held.where(F.col("holders") <= RARE), "x").select("x", "c", "n"), "rare")
+    one, two = rare.alias("one"), rare.alias("two")
     pairs = one.join(two, (F.col("one.x") == F.col("two.x")) & (F.col("one.c") < F.col("two.c")) & _fits(F.col("one.n"), F.col("two.n"), percent))
     pairs = store(pairs.select(F.col("one.c").alias("a"), F.col("two.c").alias("b")).distinct(), "rare-pairs")
-    often = each.join(held.select("x"), "x", "left_anti").groupBy("c", "n", F.pmod("x", F.lit(PARTS)).cast("int").alias("part")).agg(F.count("*").alias("k"))
+    discard(rare)
+    often = each.join(held.where(F.col("holders") > RARE).select("x"), "x").groupBy("c", "n", F.pmod("x", F.lit(PARTS)).cast("int").alias("part")).agg(F.count("*").alias("k"))
     often = often.withColumns({"place": F.expr("shiftleft(1L, part % 64)"), "half": F.floor(F.col("part") / 64)})
     bit = lambda w: F.coalesce(F.bit_or(F.when((F.col("half") == w % HALVES) & (F.col("k") > w // HALVES), F.col("place"))), F.lit(0).cast("bigint"))
     over = F.sum(F.greatest(F.col("k") - LEVELS, F.lit(0).cast("bigint")))
     sized = often.groupBy("c", "n").agg(F.sum("k").alias("f"), over.alias("over"), *[bit(w).alias(f"b{w}") for w in range(WORDS)])
-    return pairs, store(sized.where(_enough(F.col("f"), F.col("n"), F.col("f"), percent)), "bounds")
+    bounds = store(sized.where(_enough(F.col("f"), F.col("n"), F.col("f"), percent)), "bounds")
+    discard(held)
+    return pairs, bounds
 
 
 def _several(rows: DataFrame) -> DataFrame:

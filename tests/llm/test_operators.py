@@ -191,6 +191,25 @@ def test_near_dedup_of_a_group_just_below_the_similarity(spark):
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in near_dedup.near_duplicates(frame(spark, list(made.items()))).collect()} == want
 
 
+def test_bounds_against_plain_counts_and_what_they_leave_on_disk(spark):
+    from pathlib import Path
+
+    from graphsummary.llm.common import shared_dir, store
+
+    rng = random.Random(5)
+    made = {c: sorted({rng.randrange(12) for _ in range(9)} | {100 + rng.randrange(40) for _ in range(2)} | {1000 + c}) for c in range(40)}
+    sets = store(spark.createDataFrame([(c, len(m), m) for c, m in made.items()], "c bigint, n int, members array<bigint>"), "sets")
+    folder = Path(shared_dir(spark).removeprefix("file:"))
+    before = set(folder.iterdir())
+    pairs, bounds = near_dedup._bounds(sets, 50)
+    holders = Counter(x for m in made.values() for x in m)
+    often = {c: sum(holders[x] > near_dedup.RARE for x in m) for c, m in made.items()}
+    want = {(a, b) for a in made for b in made if a < b and any(holders[x] <= near_dedup.RARE for x in set(made[a]) & set(made[b])) and 2 * min(len(made[a]), len(made[b])) >= max(len(made[a]), len(made[b]))}
+    assert {tuple(r) for r in pairs.collect()} == want and want
+    assert {r["c"]: r["f"] for r in bounds.collect()} == {c: f for c, f in often.items() if 2 * f >= len(made[c])}
+    assert {p.name.rsplit("-", 1)[0] for p in set(folder.iterdir()) - before} == {"rare-pairs", "bounds"}
+
+
 def test_near_dedup_of_null_and_repeated_ids(spark):
     words = [f"w{i}" for i in range(40)]
     a, b = " ".join(words), " ".join([*words, "end"])
